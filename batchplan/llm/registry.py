@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import exact_dedup, mixing, sharding
+from batchplan.llm import byte_bpe, exact_dedup, mixing, sharding, token_records
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -34,11 +34,26 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
+def op4_token_records(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
+    import public_tokenizers
+
+    return token_records.token_record_digests(table(spark, sf_dir, "documents"), vocabulary or public_tokenizers.path("word_bpe_49k.json"))
+
+
+def op10_byte_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
+    import public_tokenizers
+
+    path = vocabulary or public_tokenizers.path("byte_bpe_50k.tiktoken")
+    return byte_bpe.encode_documents(table(spark, sf_dir, "documents"), path, public_tokenizers.PATTERN, with_ids=False)
+
+
 def queries() -> dict[str, Query]:
     return {
         "op1_exact_dedup": op1_exact_dedup,
+        "op4_token_records": op4_token_records,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
+        "op10_byte_bpe": op10_byte_bpe,
     }
 
 
