@@ -33,7 +33,7 @@ from batchplan.llm.pieces import PieceStore, stretches
 from batchplan.llm.shared import bound_arrow, filesystem, new_path, text_or_empty
 
 MASK_DELTA = 0xA282EAD8
-HEADER = struct.Struct("<qBB")
+HEADER = "<qBB"
 #: Characters of one document that are split into words at a time.
 STRETCH = 1 << 20
 #: Separators that Python's split() sees and the tokenizer does not.
@@ -127,7 +127,7 @@ def write_token_records(docs: DataFrame, path: str, vocabulary: str, end_id: int
             for key, text in zip(batch.column(0), batch.column(1), strict=True):
                 key = key.as_py()
                 ids = np.append(tok.ids(text.as_py()), np.uint32(end_id))
-                data = frame(HEADER.pack(key or 0, key is None, tok.width) + ids.astype(f"<u{tok.width}").tobytes())
+                data = frame(struct.pack(HEADER, key or 0, key is None, tok.width) + ids.astype(f"<u{tok.width}").tobytes())
                 out = out or fs.open_output_stream(f"{root}/.{attempt}-{name}.rec", buffer_size=1 << 20)
                 out.write(data)
                 offsets.append(at)
@@ -155,8 +155,8 @@ def manifest(path: str) -> list[tuple[str, int, int]]:
 
 
 def parse(payload: bytes) -> tuple[int | None, np.ndarray]:
-    key, null, width = HEADER.unpack_from(payload)
-    return (None if null else key), np.frombuffer(payload, f"<u{width}", offset=HEADER.size).astype(np.uint32)
+    key, null, width = struct.unpack_from(HEADER, payload)
+    return (None if null else key), np.frombuffer(payload, f"<u{width}", offset=struct.calcsize(HEADER)).astype(np.uint32)
 
 
 def read_record(path: str, file: str, k: int) -> tuple[int | None, np.ndarray]:
