@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import byte_bpe, exact_dedup, mixing, sharding, token_records
+from batchplan.llm import byte_bpe, exact_dedup, mixing, ngram_join, sharding, token_records
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -34,6 +34,10 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
+def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.jaccard_components(table(spark, sf_dir, "documents"), n=4, num=85, den=100)
+
+
 def op4_token_records(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
     import public_tokenizers
 
@@ -50,6 +54,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = Non
 def queries() -> dict[str, Query]:
     return {
         "op1_exact_dedup": op1_exact_dedup,
+        "op2_ngram_join": op2_ngram_join,
         "op4_token_records": op4_token_records,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
