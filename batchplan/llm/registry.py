@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import byte_bpe, exact_dedup, mixing, ngram_join, sharding, token_records
+from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join, sharding, token_records
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -38,6 +38,12 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.jaccard_components(table(spark, sf_dir, "documents"), n=4, num=85, den=100)
 
 
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    filter_ = language_id.fit(docs.where(~language_id.held_out()))
+    return language_id.predict(docs, filter_, carry=[F.col("doc_id"), language_id.held_out().alias("held_out")])
+
+
 def op4_token_records(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
     import public_tokenizers
 
@@ -55,6 +61,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_exact_dedup": op1_exact_dedup,
         "op2_ngram_join": op2_ngram_join,
+        "op3_language_id": op3_language_id,
         "op4_token_records": op4_token_records,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
