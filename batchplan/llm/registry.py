@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join, sharding, token_records
+from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join, sharding, token_records, vector_links
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -50,6 +50,10 @@ def op4_token_records(spark: SparkSession, sf_dir: str, vocabulary: str | None =
     return token_records.token_record_digests(table(spark, sf_dir, "documents"), vocabulary or public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op9_vector_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_links.near_vectors(table(spark, sf_dir, "embeddings"), least=0.98)
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
     import public_tokenizers
 
@@ -65,6 +69,7 @@ def queries() -> dict[str, Query]:
         "op4_token_records": op4_token_records,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
+        "op9_vector_links": op9_vector_links,
         "op10_byte_bpe": op10_byte_bpe,
     }
 
