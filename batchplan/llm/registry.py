@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join, sharding, token_records, vector_links
+from batchplan.llm import byte_bpe, chat_tree, exact_dedup, language_id, mixing, ngram_join, sharding, token_records, vector_links
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -17,6 +17,13 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.mark_exact_duplicates(table(spark, sf_dir, "documents"), keep="largest")
 
 
+def op5_chat_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    hard = r"\### Assistant: </turn> ok"
+    extra = spark.createDataFrame([(-7, 0, "user", hard), (-7, 1, "assistant", hard)], "conv_id long, turn long, role string, text string")
+    return chat_tree.read_back(*chat_tree.format_conversations(turns.unionByName(extra)))
+
+
 def op7_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     shuffled = sharding.shuffle_into_shards(table(spark, sf_dir, "documents"), shards=40)
     return shuffled.select(
@@ -67,6 +74,7 @@ def queries() -> dict[str, Query]:
         "op2_ngram_join": op2_ngram_join,
         "op3_language_id": op3_language_id,
         "op4_token_records": op4_token_records,
+        "op5_chat_tree": op5_chat_tree,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
         "op9_vector_links": op9_vector_links,
@@ -108,5 +116,18 @@ FROM sized s JOIN quota q ON s.source IS NOT DISTINCT FROM q.source
 """
 
 
+OP5_SQL = r"""
+WITH turns AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT * FROM (VALUES (-7, 0, 'user', '\### Assistant: </turn> ok'), (-7, 1, 'assistant', '\### Assistant: </turn> ok')))
+SELECT conv_id, count(*) AS n_turns,
+       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+       CAST(sum(length('### ' || regexp_replace(role, '([\\#<:])', '\\\1', 'g') || ': ' || regexp_replace(text, '([\\#<])', '\\\1', 'g')) + 8) AS BIGINT) AS formatted_chars
+FROM turns GROUP BY conv_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": OP1_SQL, "op8_mixing": OP8_SQL}
+    return {"op1_exact_dedup": OP1_SQL, "op5_chat_tree": OP5_SQL, "op8_mixing": OP8_SQL}
