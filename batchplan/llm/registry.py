@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from batchplan.llm import byte_bpe, chat_tree, exact_dedup, language_id, mixing, ngram_join, sharding, token_records, vector_links
+from batchplan.llm import byte_bpe, chat_tree, exact_dedup, fuzzy_lines, language_id, mixing, ngram_join, sharding, token_records, vector_links
 from batchplan.llm.shared import table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -24,6 +24,10 @@ def op5_chat_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_tree.read_back(*chat_tree.format_conversations(turns.unionByName(extra)))
 
 
+def op6_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fuzzy_lines.line_groups(table(spark, sf_dir, "documents"))
+
+
 def op7_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     shuffled = sharding.shuffle_into_shards(table(spark, sf_dir, "documents"), shards=40)
     return shuffled.select(
@@ -75,6 +79,7 @@ def queries() -> dict[str, Query]:
         "op3_language_id": op3_language_id,
         "op4_token_records": op4_token_records,
         "op5_chat_tree": op5_chat_tree,
+        "op6_fuzzy_lines": op6_fuzzy_lines,
         "op7_sharding": op7_sharding,
         "op8_mixing": op8_mixing,
         "op9_vector_links": op9_vector_links,
