@@ -88,8 +88,8 @@ entry("config_profile", f"WITH {LOG_B}, {PROFILE} SELECT query_id, config_id, ru
 for _kind in ("rollup", "cube"):
     entry(
         f"config_{_kind}",
-        f"WITH {LOG_B} SELECT query_id, config_id, CAST(grouping(query_id) * 2 + grouping(config_id) AS INTEGER) AS grouping_id, count(*) AS runs, round(avg(finish_us - start_us), 2) AS avg_us FROM log_b GROUP BY {_kind}(query_id, config_id)",
-    )(lambda s, d, cube=_kind == "cube": cents(st.config_rollup(log_b(s, d), cube)))
+        f"WITH {LOG_B} SELECT coalesce(query_id, -1) AS query_id, coalesce(config_id, -1) AS config_id, CAST(grouping(query_id) * 2 + grouping(config_id) AS INTEGER) AS grouping_id, count(*) AS runs, round(avg(finish_us - start_us), 2) AS avg_us FROM log_b GROUP BY {_kind}(query_id, config_id)",
+    )(lambda s, d, cube=_kind == "cube": cents(st.config_rollup(log_b(s, d), cube)).na.fill(-1))
 entry("first_run_per_round", f"{A} SELECT round_id, query_id, run_id, start_us, finish_us FROM log_a QUALIFY row_number() OVER (PARTITION BY round_id, query_id ORDER BY start_us, run_id) = 1")(lambda s, d: logs.first_run_per_round(log_a(s, d)))
 entry("round_makespan", f"{A} SELECT round_id, max(finish_us) - min(start_us) AS makespan_us FROM log_a GROUP BY 1")(lambda s, d: st.makespan(log_a(s, d)))
 MAKESPANS = "spans AS (SELECT round_id, max(finish_us) - min(start_us) AS makespan_us FROM log_a GROUP BY 1)"
