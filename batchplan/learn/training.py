@@ -26,10 +26,10 @@ from batchplan.learn.networks import StateEncoder
 
 @dataclass(frozen=True)
 class TrainConfig:
-    iterations: int = 8
+    iterations: int = 14
     rollouts: int = 24
     n_ppo: int = 4
-    epochs: int = 3
+    epochs: int = 4
     aux: str = "finish"
     learner: str = "clipped"
     state: str = "attention"
@@ -38,7 +38,7 @@ class TrainConfig:
     beta_v: float = 0.5
     beta_s: float = 0.01
     beta_clone: float = 1.0
-    rate: float = 4e-3
+    rate: float = 1e-2
     seed: int = 0
     n_conn: int = 3
     profile: str = "shared"
@@ -152,7 +152,7 @@ def update(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam) ->
     adv = (adv - adv.mean()) / (adv.std() + 1e-8)
 
     def loss(p: dict[str, Tensor]) -> Tensor:
-        x2, xs = net.forward(p, e, f, running, stats=stats)
+        x2, xs = net.forward(p, e, f, running)
         logp = net.logits(p, x2, open_)
         own = logp.pick((np.arange(len(act)), act))
         if cfg.learner == "plain":
@@ -164,11 +164,24 @@ def update(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam) ->
         return -surrogate + ((value - target) ** 2).mean() * (0.5 * cfg.beta_v) - bonus * cfg.beta_s
 
     for _ in range(1 if cfg.learner == "plain" else cfg.epochs):
-        stats: dict = {}
-        last = _step(policy, loss, stats, opt)
+        last = _step(policy, loss, opt)
     return last
 
 
+def calibrate(policy: Policy, batch: list[tuple[float, list, list]], keep: float = 0.0) -> None:
+    """Set the normalisation statistics from the states of rollouts.
+
+    Updates then run with the same statistics as rollouts did, so ratios to the old policy start at one.
+    """
+    steps = [s for _, one, _ in batch for s in one]
+    f, running = np.stack([s["f"] for s in steps]), np.stack([s["running"] for s in steps])
+    for _ in range(2 * policy.net.layers):  # a layer's statistics depend on those before it
+        stats: dict = {}
+        policy.net.forward({k: Tensor(v) for k, v in policy.params.items()}, np.broadcast_to(policy.e, (len(f), *policy.e.shape)), f, running, stats=stats)
+        for k, v in stats.items():
+            policy.params[k] = keep * policy.params[k] + (1 - keep) * v
+
+
 def auxiliary(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam) -> float:
     """Predict the earliest finisher's time (or the states' values) without moving the policy."""
     cfg, net = policy.cfg, policy.net
@@ -183,7 +196,7 @@ def auxiliary(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam)
     old = np.exp(frozen)
 
     def loss(p: dict[str, Tensor]) -> Tensor:
-        x2, xs = net.forward(p, e, f, running, stats=stats)
+        x2, xs = net.forward(p, e, f, running)
         clone = ((frozen - net.logits(p, x2, open_)) * (old * (frozen > -1e7))).sum(-1).mean()
         if cfg.aux == "value":
             error = net.mlp(p, "s_value", xs).reshape(-1) - target
@@ -193,26 +206,28 @@ def auxiliary(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam)
         return (error**2).mean() * 0.5 + clone * cfg.beta_clone
 
     for _ in range(cfg.epochs):
-        stats: dict = {}
-        last = _step(policy, loss, stats, opt)
+        last = _step(policy, loss, opt)
     return last
 
 
-def _step(policy: Policy, loss, stats: dict, opt: Adam) -> float:
+def _step(policy: Policy, loss, opt: Adam) -> float:
     value, grads = gradients(policy.params, loss)
     opt.step(policy.params, {k: g for k, g in grads.items() if not k.startswith("run_")})
-    for k, v in stats.items():
-        policy.params[k] = 0.8 * policy.params[k] + 0.2 * v
     return value
 
 
 def train(spark: SparkSession, demands: Demands, cfg: TrainConfig, policy: Policy | None = None, env: str = "executor", extra=None) -> tuple[Policy, list[dict]]:
     """Backbone iterations, an auxiliary phase after every n_ppo of them; keeps the best policy seen."""
+    fresh = policy is None
     policy = policy or Policy(demands, cfg)
     opt, log, held, best = Adam(cfg.rate), [], [], (np.inf, policy.params)
     for i in range(cfg.iterations):
         batch = collect(spark, policy, [cfg.seed * 100_003 + i * cfg.rollouts + k for k in range(cfg.rollouts)], env=env, extra=extra)
         mean = float(np.mean([m for m, _, _ in batch]))
+        if i == 0 and fresh:
+            calibrate(policy, batch)
+            log.append({"iteration": i, "rounds": cfg.rollouts, "makespan": mean, "loss": 0.0})
+            continue
         if mean < best[0]:
             best = (mean, {k: v.copy() for k, v in policy.params.items()})
         held += batch
