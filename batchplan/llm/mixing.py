@@ -46,9 +46,10 @@ def water_fill(sources: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epoch
         (F.lit(share) * F.sum("source_size").over(every)).alias("budget"),
         F.coalesce(F.sum("cap").over(by_level.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)).alias("clamped"),
         F.sum("weight").over(by_level.rowsBetween(0, Window.unboundedFollowing)).alias("open_weight"),
+        F.row_number().over(by_level).alias("place"),
     ).withColumn("level", (F.col("budget") - F.col("clamped")) / F.col("open_weight"))
     # the first source in this order that stays below its cap fixes the level for all
-    fits = F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.struct((F.col("cap") / F.col("weight")).alias("at"), F.col("level")))
+    fits = F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.struct("place", "level"))
     target = F.least(F.col("cap"), F.coalesce(F.min(fits).over(every)["level"] * F.col("weight"), F.col("cap")))
     return levelled.select("source", "source_size", F.round(target, 6).alias("target"))
 

@@ -104,12 +104,12 @@ weighed AS (
          CAST(sum(source_size) OVER () AS DOUBLE) AS budget
   FROM src),
 levelled AS (
-  SELECT *, (budget - coalesce(sum(cap) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+  SELECT *, row_number() OVER (ORDER BY cap / weight, source NULLS LAST) AS place, (budget - coalesce(sum(cap) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
             / sum(weight) OVER (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level
   FROM weighed),
 aimed AS (
   SELECT source, source_size,
-         round(least(cap, coalesce((SELECT arg_min(level, cap / weight) FROM levelled WHERE level * weight <= cap) * weight, cap)), 6) AS target
+         round(least(cap, coalesce((SELECT arg_min(level, place) FROM levelled WHERE level * weight <= cap) * weight, cap)), 6) AS target
   FROM levelled),
 plan AS (
   SELECT *, coalesce(CAST(floor(target / nullif(source_size, 0)) AS BIGINT), 0) AS whole FROM aimed),
