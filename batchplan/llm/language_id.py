@@ -36,6 +36,8 @@ SHARE = 0.2
 #: Least occurrences in the sample for an n-gram to count; slots for each n-gram; hash functions.
 SEEN, SLOTS, HASHES = 3, 8, 3
 MEMORY = 300_000
+#: Languages that a filter may have.
+LANGUAGES = 1024
 
 _letters = re.compile(r"[^\W\d_]+")
 _P, _Q = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
@@ -139,7 +141,9 @@ def fit(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", id_
     """The filter of the labelled rows; what reaches the driver is bounded by the sample."""
     bound_arrow(labelled.sparkSession)
     rows = labelled.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
-    counts = {r[0]: r[1] for r in rows.groupBy(lang_col).agg(F.count("*")).collect()}
+    counts = {r[0]: r[1] for r in rows.groupBy(lang_col).agg(F.count("*")).limit(LANGUAGES + 1).collect()}
+    if len(counts) > LANGUAGES:
+        raise ValueError(f"more than {LANGUAGES} languages")
     if not counts:
         return GramFilter([], "und", np.zeros(0, np.uint64), np.zeros((0, 0), bool))
     languages = sorted(counts)

@@ -17,6 +17,9 @@ WORD = r"[^\x20\x09-\x0D]+"
 ARROW_ROWS = 2000
 
 
+_made: list[str] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or one of ours if unset."""
     base = spark.conf.get("spark.checkpoint.dir", None)
@@ -28,7 +31,8 @@ def shared_dir(spark: SparkSession) -> str:
 
 def new_path(spark: SparkSession, label: str) -> str:
     """A path in the shared folder that nothing uses yet."""
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    _made.append(f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}")
+    return _made[-1]
 
 
 def written(df: DataFrame, label: str) -> DataFrame:
@@ -41,6 +45,21 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Delete the tables that operators have written so far; call it when their results are stored elsewhere."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    while _made:
+        path = jvm.org.apache.hadoop.fs.Path(_made.pop())
+        path.getFileSystem(conf).delete(path, True)
+
+
+def publish(fs: pafs.FileSystem, made: str, final: str) -> None:
+    """Rename a finished file, in place of one that an earlier attempt may have left."""
+    if not isinstance(fs, pafs.LocalFileSystem) and fs.get_file_info(final).type != pafs.FileType.NotFound:
+        fs.delete_file(final)
+    fs.move(made, final)
+
+
 def bound_arrow(spark: SparkSession) -> None:
     """Keep Arrow batches small, so that a worker holds a few MB of texts at a time."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
