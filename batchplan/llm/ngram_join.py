@@ -39,10 +39,12 @@ from batchplan.llm.shared import bound_arrow, text_or_empty, written
 
 #: Classes in a tile, on average; groups of n-grams in a count vector.
 TILE, GROUPS = 128, 16
+#: Classes of a block that are searched by an R-tree; larger blocks are taken as one cluster.
+BLOCK = 1024
 #: A bounded set of positions picks out the documents that verification needs.
 POSITIONS = 1 << 18
 #: Word hashes that a worker remembers; bytes of one text that are split at a time.
-WORDS, STRETCH = 400_000, 4 << 20
+WORDS, STRETCH = 800_000, 4 << 20
 
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -175,8 +177,8 @@ def forest(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.ndarray
     own, right = right is None, left if right is None else right
     if not left or not right:
         return []
-    points = np.stack([np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=GROUPS) for _, s in right])
-    probes = points if own else np.stack([np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=GROUPS) for _, s in left])
+    points = np.stack([count_vector(s) for _, s in right])
+    probes = points if own else np.stack([count_vector(s) for _, s in left])
     tree, root, links = CountTree(points), {c: c for c, _ in [*left, *right]}, []
 
     def top(c: int) -> int:
@@ -196,15 +198,21 @@ def forest(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.ndarray
     return links
 
 
+def count_vector(s: np.ndarray) -> np.ndarray:
+    """The number of n-grams in each group of hashes."""
+    return np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=GROUPS)
+
+
 def _sets(docs: DataFrame, n: int) -> DataFrame:
-    """id, n_shingles, cls of every document."""
+    """id, n_shingles, cls and count vector of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             sets = [shingles(t.as_py(), n) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) for s in sets], pa.int64())], ["id", "n_shingles", "cls"])
+            points = [count_vector(s).astype("<i4").tobytes() for s in sets]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) for s in sets], pa.int64()), pa.array(points, pa.binary())], ["id", "n_shingles", "cls", "point"])
 
-    return docs.mapInArrow(run, "id long, n_shingles long, cls long")
+    return docs.mapInArrow(run, "id long, n_shingles long, cls long, point binary")
 
 
 def _keys(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
@@ -227,21 +235,91 @@ def _keys(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
     return docs.mapInArrow(run, "key long, cls long")
 
 
-def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(first class of a key, other class of it) from rows sorted by key and class, as a stream."""
-    key = leader = None
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows (key, class) of keys that at least two classes have, from sorted rows, as a stream."""
+    last, waits = None, True  # the last row seen, and whether it waits for another of its key
     for batch in batches:
         k, c = batch.column(0).to_numpy(), batch.column(1).to_numpy()
         if not len(k):
             continue
-        first = np.concatenate([[key is None or k[0] != key], k[1:] != k[:-1]])
-        at = np.maximum.accumulate(np.where(first, np.arange(len(k)), -1))
-        lead = np.where(at >= 0, c[np.maximum(at, 0)], leader if leader is not None else 0)
-        key, leader = k[-1], lead[-1]
-        other = lead != c
-        if other.any():
-            pairs = np.unique(np.stack([lead[other], c[other]]), axis=1)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
+        if last is not None:
+            k, c = np.concatenate([[last[0]], k]), np.concatenate([[last[1]], c])
+        fresh = np.concatenate([[True], (k[1:] != k[:-1]) | (c[1:] != c[:-1])])
+        k, c = k[fresh], c[fresh]
+        same = k[1:] == k[:-1]
+        kept = np.concatenate([[False], same]) | np.concatenate([same, [False]])
+        if last is not None:
+            kept[0] &= waits
+        if len(same):
+            waits = not same[-1]
+        last = (k[-1], c[-1])
+        if kept.any():
+            yield pa.RecordBatch.from_arrays([pa.array(k[kept]), pa.array(c[kept])], ["key", "cls"])
+
+
+def block_forest(names: np.ndarray, points: np.ndarray, at: Threshold) -> list[tuple[int, int]]:
+    """A forest over the pairs of a block whose count vectors allow enough overlap."""
+    root, links = list(range(len(names))), []
+
+    def top(k: int) -> int:
+        while root[k] != k:
+            root[k] = k = root[root[k]]
+        return k
+
+    tree = CountTree(points)
+    for k in range(1, len(names)):
+        for j in np.concatenate([np.zeros(0, int), *tree.search(points, points[k], at)]).tolist():
+            if j < k and top(j) != top(k):
+                root[top(k)] = top(j)
+                links.append((int(names[j]), int(names[k])))
+    return links
+
+
+def _candidates(num: int, den: int):
+    """Links of candidate clusters from rows (key, class, point) sorted by key, as a stream."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = Threshold(num, den)
+        key = leader = None
+        held_c, held_p = np.zeros(0, np.int64), np.zeros((0, GROUPS), np.int64)
+
+        def close() -> list[tuple[int, int]]:
+            if leader is not None:
+                return [(leader, int(c)) for c in held_c if c != leader]
+            return block_forest(held_c, held_p, at) if len(held_c) > 1 else []
+
+        for batch in batches:
+            k, c = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            p = np.frombuffer(b"".join(batch.column(2).to_pylist()), "<i4").reshape(-1, GROUPS).astype(np.int64)
+            cuts = [0, *(np.flatnonzero(k[1:] != k[:-1]) + 1).tolist(), len(k)] if len(k) else [0]
+            links: list[tuple[int, int]] = []
+            # whole blocks of two, which most are, at once
+            two = np.array([x for x, y in zip(cuts[1:-2], cuts[2:-1], strict=True) if y - x == 2], np.int64)
+            if len(two):
+                size = p[two].sum(1) + p[two + 1].sum(1)
+                ok = two[np.minimum(p[two], p[two + 1]).sum(1) >= at.need(size)]
+                links += zip(c[ok].tolist(), c[ok + 1].tolist(), strict=True)
+            done = set(two.tolist())
+            for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+                if x in done:
+                    continue
+                if key is None or k[x] != key:
+                    links += close()
+                    key, leader, held_c, held_p = k[x], None, c[x:y], p[x:y]
+                else:
+                    held_c, held_p = np.concatenate([held_c, c[x:y]]), np.concatenate([held_p, p[x:y]])
+                if len(held_c) > BLOCK:
+                    leader = int(held_c[0]) if leader is None else leader
+                    links += close()
+                    held_c, held_p = held_c[:0], held_p[:0]
+            if links:
+                pairs = np.unique(np.array(links, np.int64), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+        if links := close():
+            pairs = np.array(links, np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+    return run
 
 
 def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -250,8 +328,11 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     texts = docs.select(F.col(id_col).cast("long").alias("id"), text_or_empty(text_col).alias("text"))
     slim = written(_sets(texts, n), "ngram-sets")
     sorted_keys = _keys(texts, n, num, den).repartition("key").sortWithinPartitions("key", "cls")
-    stars = written(sorted_keys.mapInArrow(_stars, "a long, b long").distinct(), "ngram-stars")
-    links = _verified(texts, slim, connected_components(stars), n, num, den)
+    blocks = written(sorted_keys.mapInArrow(_blocks, "key long, cls long"), "ngram-blocks")
+    points = slim.where("cls IS NOT NULL").groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point"))
+    placed = blocks.join(points, F.col("cls") == F.col("c")).select("key", "cls", "point").repartition("key").sortWithinPartitions("key", "cls")
+    near = written(placed.mapInArrow(_candidates(num, den), "a long, b long").distinct(), "ngram-candidates")
+    links = _verified(texts, slim, connected_components(near), n, num, den)
     joined = connected_components(written(links, "ngram-links"))
     known = slim.where("id IS NOT NULL")
     rooted = known.join(joined, F.col("cls") == F.col("node"), "left").select("id", "n_shingles", F.coalesce("component", "cls").alias("root"))
