@@ -5,11 +5,15 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Callable
+from typing import TypeVar
 
 import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+T = TypeVar("T")
+
 #: Words of the contracts: runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -60,6 +64,17 @@ def publish(fs: pafs.FileSystem, made: str, final: str) -> None:
     fs.move(made, final)
 
 
+_worker: dict = {}
+
+
+def worker_cache(key: tuple, make: Callable[[], T]) -> T:
+    """What a Python worker keeps between its tasks: one operator's cache at a time, so they don't add up."""
+    if key not in _worker:
+        _worker.clear()
+        _worker[key] = make()
+    return _worker[key]
+
+
 def bound_arrow(spark: SparkSession) -> None:
     """Keep Arrow batches small, so that a worker holds a few MB of texts at a time."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))

@@ -30,12 +30,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from batchplan.llm.pieces import PieceStore, stretches
-from batchplan.llm.shared import bound_arrow, filesystem, new_path, text_or_empty
+from batchplan.llm.shared import bound_arrow, filesystem, new_path, publish, text_or_empty, worker_cache
 
 MASK_DELTA = 0xA282EAD8
 HEADER = "<qBB"
 #: Characters of one document that are split into words at a time.
 STRETCH = 1 << 20
+#: Distinct words that a worker remembers.
+WORDS = 1_000_000
+#: Marks that a word may end with; the apostrophe is none, as it can begin a token of letters.
+MARKS = '.,;:!?|#")]}'
 #: Separators that Python's split() sees and the tokenizer does not.
 ODD_SEPARATORS = re.compile("[\x1c-\x1f]")
 
@@ -68,8 +72,10 @@ class WordTokenizer:
     """Ids of whole texts from a tokenizers file whose pre-tokenizer drops white space.
 
     No token spans white space, so a text's ids are those of its words in order; each distinct
-    word goes through the library once. Texts with separators that only Python treats as white
-    space go through the library whole.
+    word goes through the library once. Letters and the marks after them are always split, so
+    words share their letters' ids; many letter runs go through the library in one call, and the
+    tokens that end a word tell them apart. Texts with separators that only Python treats as
+    white space go through the library whole.
     """
 
     def __init__(self, path: str) -> None:
@@ -77,11 +83,43 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.store = PieceStore(self._encode)
+        self.store = PieceStore(self._encode, WORDS)
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
+        suffix = json.loads(self.tok.to_str())["model"].get("end_of_word_suffix")
+        self.ends = np.zeros(max(self.tok.get_vocab().values()) + 1, bool)
+        for token, i in self.tok.get_vocab().items():
+            self.ends[i] = bool(suffix) and token.endswith(suffix)
+
+    def _each(self, pieces: list[str]) -> list[list[int]]:
+        return [x.ids for x in self.tok.encode_batch_fast(pieces, add_special_tokens=False)]
+
+    def _letters(self, runs: list[str]) -> list[list[int]]:
+        """The ids of each run of letters, many in one call."""
+        found: list[list[int]] = []
+        for a in range(0, len(runs), 256):
+            ids = self._each([" ".join(runs[a : a + 256])])[0]
+            cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+            if len(cuts) == len(runs[a : a + 256]) and cuts[-1] == len(ids):
+                found += [ids[x:y] for x, y in zip([0, *cuts[:-1]], cuts, strict=True)]
+            else:
+                found += self._each(runs[a : a + 256])
+        return found
 
     def _encode(self, words):
-        ids = [x.ids for x in self.tok.encode_batch_fast(list(words), add_special_tokens=False)]
+        split, pieces = [], {}
+        for w in words:
+            run = w.rstrip(MARKS)
+            if run.isalpha():
+                run = run.lower() if run.isascii() else run
+                split.append((run, w[len(run) :]))
+                pieces[run] = None
+            else:
+                split.append((None, w))
+        runs = list(pieces)
+        pieces = dict(zip(runs, self._letters(runs), strict=True))
+        rest = list({tail for _, tail in split if tail})
+        others = dict(zip(rest, self._each(rest), strict=True)) if rest else {}
+        ids = [(pieces[run] if run is not None else []) + (others[tail] if tail else []) for run, tail in split]
         lens = np.fromiter(map(len, ids), np.int64, len(ids))
         return np.fromiter((i for x in ids for i in x), np.uint32, int(lens.sum())), lens
 
@@ -102,14 +140,9 @@ class WordTokenizer:
         return parts[0] if len(parts) == 1 else np.concatenate(parts)
 
 
-_tokenizers: dict[str, WordTokenizer] = {}
-
-
 def tokenizer(path: str) -> WordTokenizer:
     """One for each Python worker; what it has learnt serves all of the worker's tasks."""
-    if path not in _tokenizers:
-        _tokenizers[path] = WordTokenizer(path)
-    return _tokenizers[path]
+    return worker_cache(("tokenizer", path), lambda: WordTokenizer(path))
 
 
 def write_token_records(docs: DataFrame, path: str, vocabulary: str, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text") -> None:
@@ -138,7 +171,7 @@ def write_token_records(docs: DataFrame, path: str, vocabulary: str, end_id: int
         with fs.open_output_stream(f"{root}/.{attempt}-{name}.idx") as index:
             index.write(np.array(offsets, "<u8").tobytes())
         for kind in ("rec", "idx"):
-            fs.move(f"{root}/.{attempt}-{name}.{kind}", f"{root}/{name}.{kind}")
+            publish(fs, f"{root}/.{attempt}-{name}.{kind}", f"{root}/{name}.{kind}")
         yield pa.RecordBatch.from_pydict({"file": [name], "records": [len(offsets)], "tokens": [tokens]})
 
     files = sorted(ordered.mapInArrow(write, "file string, records long, tokens long").collect())
