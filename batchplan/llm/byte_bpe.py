@@ -29,9 +29,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.pieces import PieceStore, stretches
-from batchplan.llm.shared import bound_arrow, text_or_empty
+from batchplan.llm.shared import bound_arrow, text_or_empty, worker_cache
 
 LONG_WORD = 256
+#: Distinct chunks of texts (a blank and what follows) and words that a worker remembers.
+CHUNKS, WORDS = 600_000, 400_000
 #: Bytes of distinct words in one recursive query; tokens in one decoding query.
 QUERY_BYTES, QUERY_TOKENS = 400_000, 400_000
 #: Characters that are split into words at a time.
@@ -75,8 +77,8 @@ class ByteBpe:
         self.words = regex.compile(pattern.replace(r"[^\s", f"[^{SPACE}").replace(r"\s", f"[{SPACE}]").replace(r"\S", f"[^{SPACE}]"))
         self.irregular = re.compile(f"[{SPACE}][{SPACE}]")
         self.byte_id = np.array([self.ranks[bytes([b])] for b in range(256)], np.int32)
-        self.store = PieceStore(self._encode_chunks)
-        self.known = PieceStore(self._encode_words)
+        self.store = PieceStore(self._encode_chunks, CHUNKS)
+        self.known = PieceStore(self._encode_words, WORDS)
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": "350MB", "temp_directory": ""})
         pairs = [(left, right, i) for b, i in self.ranks.items() for k in range(1, len(b)) if (left := self.ranks.get(b[:k])) is not None and (right := self.ranks.get(b[k:])) is not None]
         left, right, ids = np.array(pairs, np.int64).reshape(-1, 3).T
@@ -94,15 +96,14 @@ class ByteBpe:
         self.db.unregister(name)
         return found
 
-    def _contract(self, words: list[bytes]) -> list[np.ndarray]:
-        """Each word's ids, by the recursive query."""
+    def _contract(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The words' ids one after another, and each word's number of them, by the recursive query."""
         lens = np.fromiter(map(len, words), np.int64, len(words))
         letters = self.byte_id[np.frombuffer(b"".join(words), np.uint8)]
         first = np.cumsum(lens) - lens
         k = (np.repeat(np.arange(len(words)), lens) << 16) + np.arange(len(letters)) - np.repeat(first, lens)
         done = self._query(ENCODE, "letters", k=k, t=letters)
-        w, t = done["w"].to_numpy(), done["t"].to_numpy()
-        return np.split(t, np.searchsorted(w, np.arange(1, len(words))))
+        return done["t"].to_numpy(), np.bincount(done["w"].to_numpy(), minlength=len(words))
 
     def _contract_long(self, word: bytes) -> np.ndarray:
         token = [bytes([b]) for b in word]
@@ -129,29 +130,38 @@ class ByteBpe:
 
     def _encode_words(self, words):
         raw = [w.encode() for w in words]
-        found: list = [None] * len(raw)
-        todo, held = [], 0
-        for n, b in enumerate(raw):
+        flats, lens, todo, held = [], [], [], 0
+
+        def contract() -> None:
+            if todo:
+                flat, n = self._contract(todo)
+                flats.append(flat)
+                lens.append(n)
+                todo.clear()
+
+        for b in raw:
             if len(b) > LONG_WORD:
-                found[n] = self._contract_long(b)
+                contract()
+                flats.append(self._contract_long(b))
+                lens.append(np.array([len(flats[-1])]))
+                held = 0
                 continue
-            todo.append(n)
+            todo.append(b)
             held += len(b)
             if held >= QUERY_BYTES or len(todo) >= 1 << 16:
-                for m, ids in zip(todo, self._contract([raw[m] for m in todo]), strict=True):
-                    found[m] = ids
-                todo, held = [], 0
-        if todo:
-            for m, ids in zip(todo, self._contract([raw[m] for m in todo]), strict=True):
-                found[m] = ids
-        return np.concatenate(found).astype(np.uint32), np.fromiter(map(len, found), np.int64, len(found))
+                contract()
+                held = 0
+        contract()
+        return np.concatenate(flats).astype(np.uint32), np.concatenate(lens)
 
     def _encode_chunks(self, chunks):
         split = [self.words.findall(c) for c in chunks]
+        words = [w for found in split for w in found]
         self.known.room()
-        self.known.learn(w for words in split for w in words)
-        ids = [self.known.ids(words) for words in split]
-        return np.concatenate(ids), np.fromiter(map(len, ids), np.int64, len(ids))
+        self.known.learn(words)
+        counts = np.fromiter(map(len, split), np.int64, len(split))
+        ids, lens = self.known.ids_and_lens(words)
+        return ids, np.add.reduceat(lens, np.cumsum(counts) - counts)
 
     def chunks(self, text: str) -> list[str]:
         """The text cut where no word crosses: before a single blank between two other characters.
@@ -207,14 +217,9 @@ class ByteBpe:
         return texts
 
 
-_coders: dict[tuple[str, str], ByteBpe] = {}
-
-
 def coder(path: str, pattern: str) -> ByteBpe:
     """One for each Python worker; the words it has contracted serve all of the worker's tasks."""
-    if (path, pattern) not in _coders:
-        _coders[path, pattern] = ByteBpe(path, pattern)
-    return _coders[path, pattern]
+    return worker_cache(("byte_bpe", path, pattern), lambda: ByteBpe(path, pattern))
 
 
 def encode_documents(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:

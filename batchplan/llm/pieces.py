@@ -43,11 +43,15 @@ class PieceStore:
 
     def ids(self, pieces: Sequence[str]) -> np.ndarray:
         """The pieces' ids, one after another."""
+        return self.ids_and_lens(pieces)[0]
+
+    def ids_and_lens(self, pieces: Sequence[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The pieces' ids, one after another, and each piece's number of them."""
         which = np.fromiter(map(self.index.__getitem__, pieces), np.int64, len(pieces))
         lens = self.lens[which]
         total = int(lens.sum())
         at = np.repeat(self.starts[which] - (np.cumsum(lens) - lens), lens) + np.arange(total)
-        return self.flat[at]
+        return self.flat[at], lens
 
     def room(self) -> None:
         """Called between documents: forget if memory is used up."""
