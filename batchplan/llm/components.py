@@ -1,25 +1,56 @@
 """Connected components of a table of links, by minimum labels and label jumping.
 
-Nothing but the number of changed labels reaches the driver. Each round joins links with labels
-(Spark splits the partitions of a hot node in these joins), takes minima before it shuffles, and
-lets every label jump to its own label's label, so that paths shrink by half; rounds are written
-to the shared folder, which cuts the lineage.
+Nothing but counts reaches the driver. Each round joins links with labels (Spark splits the partitions
+of a hot node in these joins), takes minima before it shuffles, and lets every label jump to its own
+label's label, so that paths shrink by half; rounds are written to the shared folder, which cuts the
+lineage. A graph of at most ``ONE_TASK`` links, a bound of some 16 MB, is one union-find in one task: the
+rounds' many small shuffles would cost more than their work.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.shared import written
 
+ONE_TASK = 1_000_000
+
+
+def _union_find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, smallest node of its component) from all links of a bounded graph."""
+    parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
+    if not parts:
+        return
+    a, b = (np.concatenate(x) for x in zip(*parts, strict=True))
+    nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    root = list(range(len(nodes)))
+
+    def top(k: int) -> int:
+        while root[k] != k:
+            root[k] = k = root[root[k]]
+        return k
+
+    for x, y in zip(at[: len(a)].tolist(), at[len(a) :].tolist(), strict=True):
+        x, y = top(x), top(y)
+        if x != y:
+            root[max(x, y)] = min(x, y)  # nodes are in order, so the smallest stays on top
+    least = nodes[np.fromiter(map(top, range(len(nodes))), np.int64, len(nodes))]
+    yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(least, pa.int64())], ["node", "component"])
+
 
-def connected_components(links: DataFrame) -> DataFrame:
-    """links (a, b) to (node, component): the smallest node that each linked node can reach.
+def connected_components(links: DataFrame, one_task: int = ONE_TASK) -> DataFrame:
+    """links (a, b: long) to (node, component): the smallest node that each linked node can reach.
 
     Null ends and links of a node with itself count for nothing; no links give no rows.
     """
-    ends = links.where("a <> b").select("a", "b")
+    ends = written(links.where("a <> b").select("a", "b"), "cc-ends")
+    if ends.count() <= one_task:
+        return written(ends.coalesce(1).mapInArrow(_union_find, "node long, component long"), "cc-labels")
     both = written(ends.unionByName(ends.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-links")
     labels = written(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("component")), "cc-labels")
     while True:

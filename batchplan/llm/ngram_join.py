@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.components import connected_components
-from batchplan.llm.shared import bound_arrow, text_or_empty, written
+from batchplan.llm.shared import bound_arrow, text_or_empty, worker_cache, written
 
 #: Classes in a tile, on average; groups of n-grams in a count vector.
 TILE, GROUPS = 128, 16
@@ -61,20 +61,18 @@ class _WordHashes(dict):
         return h
 
 
-_words = _WordHashes()
-
-
 def word_hashes(text: str) -> np.ndarray:
     """A hash for each word of the text, lower-cased in A-Z only."""
     raw, parts, at = text.encode().lower(), [], 0
-    if len(_words) > WORDS:
-        _words.clear()
+    known = worker_cache(("word_hashes",), _WordHashes)
+    if len(known) > WORDS:
+        known.clear()
     while at < len(raw):
         end = len(raw)
         if end - at > STRETCH and (m := re.compile(rb"[\x20\x09-\x0D]").search(raw, at + STRETCH)):
             end = m.start()
         words = raw[at:end].split()
-        parts.append(np.fromiter(map(_words.__getitem__, words), np.uint64, len(words)))
+        parts.append(np.fromiter(map(known.__getitem__, words), np.uint64, len(words)))
         at = end
     return np.concatenate(parts) if parts else np.zeros(0, np.uint64)
 
@@ -150,7 +148,7 @@ def piece_keys(s: np.ndarray, at: Threshold) -> np.ndarray:
 class CountTree:
     """R-tree over count vectors, packed by halving the widest coordinate."""
 
-    LEAF = 8
+    LEAF = 16
 
     def __init__(self, points: np.ndarray, rows: np.ndarray | None = None) -> None:
         rows = np.arange(len(points)) if rows is None else rows
@@ -161,15 +159,26 @@ class CountTree:
             order = rows[np.argsort(points[rows, widest], kind="stable")]
             self.kids = [CountTree(points, half) for half in np.array_split(order, 2)]
 
-    def search(self, points: np.ndarray, x: np.ndarray, at: Threshold) -> list[np.ndarray]:
-        """Rows whose overlap with x may reach the threshold."""
-        size = int(x.sum())
-        if np.minimum(x, self.upper).sum() < at.need(size + self.least):
+    def pairs(self, points: np.ndarray, probes: np.ndarray, at: Threshold, which: np.ndarray | None = None) -> list[np.ndarray]:
+        """Arrays of (probe, row) whose overlap may reach the threshold; a node sees all its probes at once."""
+        which = np.arange(len(probes)) if which is None else which
+        x = probes[which]
+        size = x.sum(1)
+        ok = np.minimum(x, self.upper).sum(1) >= at.need(size + self.least)
+        which, x, size = which[ok], x[ok], size[ok]
+        if not len(which):
             return []
         if self.kids:
-            return [r for kid in self.kids for r in kid.search(points, x, at)]
+            return [p for kid in self.kids for p in kid.pairs(points, probes, at, which)]
         y = points[self.rows]
-        return [self.rows[np.minimum(x, y).sum(1) >= at.need(size + y.sum(1))]]
+        i, j = np.nonzero(np.minimum(x[:, None], y[None]).sum(2) >= at.need(size[:, None] + y.sum(1)[None]))
+        return [np.stack([which[i], self.rows[j]], 1)]
+
+
+def near_pairs(points: np.ndarray, probes: np.ndarray, at: Threshold) -> list[tuple[int, int]]:
+    """(probe, row) in order, from an R-tree over the points."""
+    found = np.concatenate([np.zeros((0, 2), int), *CountTree(points).pairs(points, probes, at)])
+    return found[np.lexsort((found[:, 1], found[:, 0]))].tolist()
 
 
 def forest(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.ndarray]] | None, at: Threshold) -> list[tuple[int, int]]:
@@ -179,22 +188,21 @@ def forest(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.ndarray
         return []
     points = np.stack([count_vector(s) for _, s in right])
     probes = points if own else np.stack([count_vector(s) for _, s in left])
-    tree, root, links = CountTree(points), {c: c for c, _ in [*left, *right]}, []
+    root, links = {c: c for c, _ in [*left, *right]}, []
 
     def top(c: int) -> int:
         while root[c] != c:
             root[c] = c = root[root[c]]
         return c
 
-    for k, (a, s) in enumerate(left):
-        for j in np.sort(np.concatenate([np.zeros(0, int), *tree.search(points, probes[k], at)])).tolist():
-            b, r = right[j]
-            if (own and j <= k) or top(a) == top(b):
-                continue
-            shared = len(s) + len(r) - len(np.union1d(s, r))
-            if shared >= at.need(len(s) + len(r)):
-                root[top(a)] = top(b)
-                links.append((a, b))
+    for k, j in near_pairs(points, probes, at):
+        (a, s), (b, r) = left[k], right[j]
+        if (own and j <= k) or top(a) == top(b):
+            continue
+        shared = len(s) + len(r) - len(np.union1d(s, r))
+        if shared >= at.need(len(s) + len(r)):
+            root[top(a)] = top(b)
+            links.append((a, b))
     return links
 
 
@@ -258,21 +266,18 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def block_forest(names: np.ndarray, points: np.ndarray, at: Threshold) -> list[tuple[int, int]]:
-    """A forest over the pairs of a block whose count vectors allow enough overlap."""
-    root, links = list(range(len(names))), []
+    """Stars over the pairs of a block whose count vectors allow enough overlap: (first class, other class)."""
+    root = list(range(len(names)))
 
     def top(k: int) -> int:
         while root[k] != k:
             root[k] = k = root[root[k]]
         return k
 
-    tree = CountTree(points)
-    for k in range(1, len(names)):
-        for j in np.concatenate([np.zeros(0, int), *tree.search(points, points[k], at)]).tolist():
-            if j < k and top(j) != top(k):
-                root[top(k)] = top(j)
-                links.append((int(names[j]), int(names[k])))
-    return links
+    for k, j in near_pairs(points, points, at):
+        x, y = top(k), top(j)
+        root[max(x, y)] = min(x, y)
+    return [(int(names[top(k)]), int(names[k])) for k in range(len(names)) if top(k) != k]
 
 
 def _candidates(num: int, den: int):

@@ -117,10 +117,8 @@ def test_count_tree_never_prunes_a_link():
     rng = np.random.default_rng(5)
     at = ngram_join.Threshold(80, 100)
     points = rng.integers(0, 6, (200, 16))
-    tree = ngram_join.CountTree(points)
-    for x in points[:40]:
-        found = set(np.concatenate([np.zeros(0, int), *tree.search(points, x, at)]).tolist())
-        assert found == {j for j, y in enumerate(points) if np.minimum(x, y).sum() >= at.need(int(x.sum() + y.sum()))}
+    found = {tuple(p) for p in ngram_join.near_pairs(points, points[:40], at)}
+    assert found == {(i, j) for i, x in enumerate(points[:40]) for j, y in enumerate(points) if np.minimum(x, y).sum() >= at.need(int(x.sum() + y.sum()))}
 
 
 def test_piece_keys_meet():
@@ -136,11 +134,12 @@ def test_piece_keys_meet():
             assert set(ngram_join.piece_keys(x, at).tolist()) & set(ngram_join.piece_keys(y, at).tolist())
 
 
-def test_components_of_paths_and_hubs(spark):
+@pytest.mark.parametrize("one_task", [0, 10**6])
+def test_components_of_paths_and_hubs(spark, one_task):
     links = [(k, k + 1) for k in range(40)] + [(100, 100 + k) for k in range(1, 60)] + [(7, 7), (None, 3)]
-    got = {r.node: r.component for r in components.connected_components(spark.createDataFrame(links, "a long, b long")).collect()}
+    got = {r.node: r.component for r in components.connected_components(spark.createDataFrame(links, "a long, b long"), one_task).collect()}
     assert got == {**{k: 0 for k in range(41)}, **{100 + k: 100 for k in range(60)}}
-    assert components.connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
+    assert components.connected_components(spark.createDataFrame([], "a long, b long"), one_task).count() == 0
 
 
 def test_fuzzy_lines(spark):
