@@ -115,7 +115,7 @@ class Threshold:
         while len(self.bounds) < band + 2:
             self.bounds.append(self.bounds[-1] * self.den // self.num + 1)
         both = 2 * (self.bounds[band + 1] - 1)
-        return both - 2 * self.need(both)
+        return max(s - 2 * self.need(s) for s in (both - 1, both))  # it grows with s among even and among odd s
 
     def need(self, both):
         """The least overlap of linked sets whose sizes add up to ``both``."""

@@ -134,6 +134,32 @@ def test_piece_keys_meet():
             assert set(ngram_join.piece_keys(x, at).tolist()) & set(ngram_join.piece_keys(y, at).tolist())
 
 
+@pytest.mark.parametrize(("num", "den"), [(85, 100), (80, 100)])
+def test_piece_keys_meet_at_all_small_sizes(num, den):
+    rng = np.random.default_rng(9)
+    at = ngram_join.Threshold(num, den)
+    for a in range(1, 41):
+        for b in range(a, 41):
+            least = min(k for k in range(a + b + 1) if den * k >= num * (a + b - k))  # by brute force
+            for both in range(least, min(a, b - 1) + 1 if a == b else a + 1):
+                assert a + b - 2 * both <= at.differ(at.band(b))
+                for _ in range(5):
+                    s = rng.integers(0, 2**63, a + b - both).astype(np.uint64) * np.uint64(2)
+                    x, y = np.sort(s[:a]), np.sort(s[a - both :])
+                    assert set(ngram_join.piece_keys(x, at).tolist()) & set(ngram_join.piece_keys(y, at).tolist()), (a, b, both)
+
+
+@pytest.mark.parametrize(("n", "num", "den", "sizes"), [(4, 85, 100, range(9, 14)), (5, 80, 100, range(8, 11))])
+def test_ngram_links_of_short_documents(spark, n, num, den, sizes):
+    texts = []
+    for k in sizes:
+        w = [f"s{k}x{i}" for i in range(k)]
+        texts += [" ".join(w), " ".join(w[1:]), " ".join([*w, f"more{k}"])]
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.jaccard_components(docs_of(spark, texts), n, num, den).collect()}
+    want = brute_components(texts, n, num, den)
+    assert got == want and len({c for _, c in want.values()}) < len(texts)
+
+
 @pytest.mark.parametrize("one_task", [0, 10**6])
 def test_components_of_paths_and_hubs(spark, one_task):
     links = [(k, k + 1) for k in range(40)] + [(100, 100 + k) for k in range(1, 60)] + [(7, 7), (None, 3)]
