@@ -176,6 +176,27 @@ def test_fuzzy_lines(spark):
     assert out == {0: texts[0], 1: "x\n", 2: None, 3: "", 4: texts[4], 5: ""}
 
 
+def test_fuzzy_lines_against_brute_force(spark):
+    """All pairs by edit similarity, without the operator's keys: a letter or a few changed in lines of all lengths."""
+    rng = random.Random(11)
+    base = [" ".join("".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=rng.randint(3, 8))) for _ in range(k)) for k in (3, 5, 8, 9, 12, 20, 31, 60) for _ in range(4)]
+    lines = list(base)
+    for x in base:
+        for edits in (1, 1, 1 + len(x) // 50):
+            y = list(x)
+            for _ in range(edits):
+                y[rng.randrange(len(y))] = rng.choice("abcdefghijklmnopqrstuvwxyz")
+            lines.append("".join(y))
+    plain = [fuzzy_lines.normalise(x) for x in lines]
+    root = list(range(len(lines)))
+    for i in range(len(lines)):
+        for j in range(i):
+            if root[i] != root[j] and fuzzy_lines.similar(plain[i], plain[j]):
+                root = [min(root[i], root[j]) if r in (root[i], root[j]) else r for r in root]
+    got = {r.doc_id: r.keep_id for r in fuzzy_lines.line_groups(docs_of(spark, lines)).collect()}
+    assert got == dict(enumerate(root)) and len(set(root)) == len(base)
+
+
 def test_edit_distance():
     def slow(a, b):
         d = list(range(len(b) + 1))
