@@ -1,64 +1,44 @@
-"""Connected components of a table of links, by minimum labels and label jumping.
-
-Nothing but counts reaches the driver. Each round joins links with labels (Spark splits the partitions
-of a hot node in these joins), takes minima before it shuffles, and lets every label jump to its own
-label's label, so that paths shrink by half; rounds are written to the shared folder, which cuts the
-lineage. A graph of at most ``ONE_TASK`` links, a bound of some 16 MB, is one union-find in one task: the
-rounds' many small shuffles would cost more than their work.
+"""Connected components of a table of links, by alternating star contractions.
+
+Links point from their greater to their lesser end. A round first hangs every greater neighbour of a
+node on the least node that the node knows, then does the same with its lesser neighbours; each half
+is a minimum that is combined before it is shuffled and a join, so a hub that a third of all links
+share is one aggregated row, and Spark splits its partition in the join. No round makes more links than
+there were. Rounds are written to the shared folder, which cuts the lineage; nothing but a count and
+a checksum reaches the driver, at every size of graph.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.shared import written
 
-ONE_TASK = 1_000_000
-
-
-def _union_find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(node, smallest node of its component) from all links of a bounded graph."""
-    parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
-    if not parts:
-        return
-    a, b = (np.concatenate(x) for x in zip(*parts, strict=True))
-    nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
-    root = list(range(len(nodes)))
-
-    def top(k: int) -> int:
-        while root[k] != k:
-            root[k] = k = root[root[k]]
-        return k
 
-    for x, y in zip(at[: len(a)].tolist(), at[len(a) :].tolist(), strict=True):
-        x, y = top(x), top(y)
-        if x != y:
-            root[max(x, y)] = min(x, y)  # nodes are in order, so the smallest stays on top
-    least = nodes[np.fromiter(map(top, range(len(nodes))), np.int64, len(nodes))]
-    yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(least, pa.int64())], ["node", "component"])
+def _state(links: DataFrame) -> tuple:
+    return tuple(links.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(20,0)"))).first())
 
 
-def connected_components(links: DataFrame, one_task: int = ONE_TASK) -> DataFrame:
+def connected_components(links: DataFrame) -> DataFrame:
     """links (a, b: long) to (node, component): the smallest node that each linked node can reach.
 
     Null ends and links of a node with itself count for nothing; no links give no rows.
     """
-    ends = written(links.where("a <> b").select("a", "b"), "cc-ends")
-    if ends.count() <= one_task:
-        return written(ends.coalesce(1).mapInArrow(_union_find, "node long, component long"), "cc-labels")
-    both = written(ends.unionByName(ends.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-links")
-    labels = written(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("component")), "cc-labels")
-    while True:
-        heard = both.join(labels, F.col("b") == F.col("node")).groupBy("a").agg(F.min("component").alias("heard"))
-        told = labels.join(heard, F.col("node") == F.col("a"), "left").select("node", F.col("component").alias("old"), F.least("component", "heard").alias("new"))
-        jump = labels.select(F.col("node").alias("at"), F.col("component").alias("further"))
-        after = told.join(jump, F.col("new") == F.col("at"), "left").select("node", "old", F.least("new", "further").alias("component"))
-        after = written(after, "cc-labels")
-        labels = after.select("node", "component")
-        if after.where("old <> component").isEmpty():
-            return labels
+    stars = links.where("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct()
+    stars = written(stars, "cc-links")
+    state = _state(stars)
+    while state[0]:
+        # the least of each node and its neighbours; a node that is no lesser end has no use for it
+        least = stars.select("lo", F.col("lo").alias("by")).unionByName(stars.select(F.col("hi").alias("lo"), F.col("lo").alias("by")))
+        least = least.groupBy(F.col("lo").alias("at")).agg(F.min("by").alias("m"))
+        large = stars.join(least, F.col("lo") == F.col("at")).select("hi", F.col("m").alias("lo"))
+        top = large.groupBy(F.col("hi").alias("at")).agg(F.min("lo").alias("m"))
+        small = large.join(top, F.col("hi") == F.col("at")).select("hi", "lo", "m")
+        pairs = small.select(F.explode(F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))).alias("p"))
+        stars = written(pairs.select("p.hi", "p.lo").where("hi <> lo").distinct(), "cc-links")
+        before, state = state, _state(stars)
+        if state == before:
+            break
+    ends = stars.select(F.col("hi").alias("node"), F.col("lo").alias("component"))
+    return ends.unionByName(stars.select(F.col("lo").alias("node"), F.col("lo").alias("component")).distinct())

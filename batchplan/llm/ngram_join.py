@@ -1,26 +1,32 @@
 """Jaccard self-join of documents by their word n-grams, with R-trees over count vectors.
 
 A document's n-grams are hashed to 64 bits; equal sets form a class, and classes are compared.
-Hashing the n-grams into 16 groups gives each class a point of group counts. Two sets share at
-most the sum of the smaller of their counts in each group, so an R-tree over the points prunes
-a node when the sum of minima with the node's upper corner is below the overlap that the
-threshold asks for; surviving pairs are verified on the sets.
-
-One R-tree over everything cannot prune at scale: for long documents the radius of the search
-exceeds the spread of the points. So an exact pigeonhole step first finds which classes can
-meet at all. Within a band of sizes two linked sets differ in at most d n-grams; cut the hash
-range into more than d pieces and at least one piece is equal, and not empty, in both. Classes
-with an equal piece are joined to candidate clusters (an n-gram set that fills too few pieces
-gets one more, common key, so that nothing is lost). Each cluster is cut into tiles of about
-``TILE`` classes by a hash; every pair of tiles is one task with an R-tree, which skips pairs that
-it has joined already and returns a spanning forest of its links, never all pairs.
+Hashing the n-grams into groups gives each class a point of group counts; there are about half as
+many groups as n-grams (64 to 2048, always a power of two, so finer points fold to coarser ones).
+Two sets share at most the sum of the smaller of their counts in each group, so an R-tree over the
+points prunes a node when the sum of minima with the node's upper corner is below the overlap that
+the threshold asks for; surviving pairs are verified on the sets.
+
+One R-tree over everything cannot prune at scale: the upper corner of a large node holds more than
+any point. So an exact pigeonhole step finds which classes can meet at all. Within a band of sizes two
+linked sets differ in at most d n-grams; cut the hash range into more than d pieces, and of the f
+pieces that a set fills at least f - d are equal in both. Classes with an equal piece share a block.
+As linked sets share f - d of them, each class leaves the f - d - 1 largest of its blocks; passages
+that many documents share make large blocks, so these go first, and no link is lost. A set that fills
+d pieces or fewer gets its least n-grams as further keys, enough to meet any linked set of that kind.
+
+Links are then found without pairing whole groups. In a star round every class is compared with one
+leader of its blocks; what is linked is merged, and the next round only looks at blocks that
+still hold two components, with other leaders. After ``STARS`` rounds the blocks that are left go
+through R-trees, in tiles of about ``TILE`` classes, which return all pairs of unlike components that the
+bound allows. Each pair's texts are read once and compared exactly, a leader's before its members'.
 
 The result is exact up to collisions of 64-bit hashes.
 
 Defined results: null and empty texts, and texts without words, have no n-grams, are a component
 of their own, and link with nothing; a text with fewer words than n is one n-gram of all of them;
 a row whose id is null links with nothing and its component is null; rows that repeat an id are
-each reported; an empty table gives an empty result.
+each reported, by their own texts; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -31,18 +37,20 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from batchplan.llm.components import connected_components
-from batchplan.llm.shared import bound_arrow, text_or_empty, worker_cache, written
-
-#: Classes in a tile, on average; groups of n-grams in a count vector.
-TILE, GROUPS = 128, 16
-#: Classes of a block that are searched by an R-tree; larger blocks are taken as one cluster.
-BLOCK = 1024
+from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, worker_cache, written, written_mark
+
+#: Classes in a tile of the last step, on average; rounds of stars before it.
+TILE, STARS = 512, 3
+#: Groups of n-grams in a point: at least, and at most.
+GROUPS = (64, 2048)
+#: Pairs of one leader that one task verifies, on average.
+MEMBERS = 512
 #: A bounded set of positions picks out the documents that verification needs.
-POSITIONS = 1 << 18
+POSITIONS = 1 << 19
 #: Word hashes that a worker remembers; bytes of one text that are split at a time.
 WORDS, STRETCH = 800_000, 4 << 20
 
@@ -125,30 +133,67 @@ class Threshold:
 _cuts: dict[int, np.ndarray] = {}
 
 
+def _filled(s: np.ndarray, differ: int) -> tuple[np.ndarray, np.ndarray]:
+    """The pieces that a set fills, of enough for two linked sets to share some, and where all pieces end."""
+    pieces = differ + 3 + differ // 4
+    if pieces not in _cuts:
+        _cuts[pieces] = np.array([(i << 64) // pieces for i in range(1, pieces)], np.uint64)
+    ends = np.concatenate([[0], np.searchsorted(s, _cuts[pieces]), [len(s)]])
+    return np.flatnonzero(ends[1:] > ends[:-1]), ends
+
+
+def spares(s: np.ndarray, at: Threshold) -> tuple[int, int]:
+    """How many of a set's keys may go without a loss, under its own band and under the next."""
+    if not len(s):
+        return 0, 0
+    own = at.band(len(s))
+    return tuple(max(0, len(_filled(s, d)[0]) - d - 1) if (d := at.differ(b)) else 0 for b in (own, own + 1))
+
+
 def piece_keys(s: np.ndarray, at: Threshold) -> np.ndarray:
-    """64-bit keys of the pieces of a set, under its own band and the next."""
+    """64-bit keys of a set, under its own band and the next; the last bit is the band's."""
     own, found = at.band(len(s)), []
     total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mix64(s ^ _B))])
     for band in (own, own + 1):
         differ = at.differ(band)
         if differ == 0:  # only equal sets are linked, and they are one class
             continue
-        pieces = differ + 2 + differ // 20
-        if pieces not in _cuts:
-            _cuts[pieces] = np.array([(i << 64) // pieces for i in range(1, pieces)], np.uint64)
-        ends = np.concatenate([[0], np.searchsorted(s, _cuts[pieces]), [len(s)]])
-        filled = np.flatnonzero(ends[1:] > ends[:-1])
+        filled, ends = _filled(s, differ)
         tag = np.uint64(band << 32) + filled.astype(np.uint64)
-        found.append(mix64((total[ends[filled + 1]] - total[ends[filled]]) ^ mix64(tag)))
+        keys = [mix64((total[ends[filled + 1]] - total[ends[filled]]) ^ mix64(tag))]
         if len(filled) <= differ:
-            found.append(mix64(np.array([(band << 32) + (1 << 31)], np.uint64)))
+            # two such sets may share no piece, but they share one of their first n-grams
+            first = s[: len(s) - -(-at.num * len(s) // at.den) + 1]
+            keys.append(mix64(mix64(first ^ _A) + np.uint64((band << 32) + (1 << 31))))
+        found.append(np.concatenate(keys) >> np.uint64(1) << np.uint64(1) | np.uint64(band & 1))
     return np.concatenate(found) if found else np.zeros(0, np.uint64)
 
 
+def count_vector(s: np.ndarray) -> np.ndarray:
+    """The number of n-grams in each group of hashes; groups are a power of two, by the size of the set."""
+    bits = min(max(GROUPS[0], 1 << (len(s) // 2).bit_length()), GROUPS[1]).bit_length() - 1
+    return np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+
+
+def packed(point: np.ndarray) -> bytes:
+    kind = 1 if point.max(initial=0) < 256 else 4
+    return bytes([kind]) + point.astype(f"<u{kind}").tobytes()
+
+
+def unpacked(points: list[bytes]) -> np.ndarray:
+    """Points as rows, all folded to the groups of the coarsest."""
+    rows = [np.frombuffer(p, f"<u{p[0]}", offset=1) for p in points]
+    groups = min(map(len, rows))
+    out = np.empty((len(rows), groups), np.int32)
+    for k, row in enumerate(rows):
+        out[k] = row if len(row) == groups else row.reshape(groups, -1).sum(1, dtype=np.int32)
+    return out
+
+
 class CountTree:
     """R-tree over count vectors, packed by halving the widest coordinate."""
 
-    LEAF = 16
+    LEAF, PROBES = 16, 64
 
     def __init__(self, points: np.ndarray, rows: np.ndarray | None = None) -> None:
         rows = np.arange(len(points)) if rows is None else rows
@@ -170,9 +215,12 @@ class CountTree:
             return []
         if self.kids:
             return [p for kid in self.kids for p in kid.pairs(points, probes, at, which)]
-        y = points[self.rows]
-        i, j = np.nonzero(np.minimum(x[:, None], y[None]).sum(2) >= at.need(size[:, None] + y.sum(1)[None]))
-        return [np.stack([which[i], self.rows[j]], 1)]
+        y, found = points[self.rows], []
+        for k in range(0, len(x), self.PROBES):
+            part = x[k : k + self.PROBES]
+            i, j = np.nonzero(np.minimum(part[:, None], y[None]).sum(2) >= at.need(size[k : k + self.PROBES, None] + y.sum(1)[None]))
+            found.append(np.stack([which[k + i], self.rows[j]], 1))
+        return found
 
 
 def near_pairs(points: np.ndarray, probes: np.ndarray, at: Threshold) -> list[tuple[int, int]]:
@@ -181,46 +229,24 @@ def near_pairs(points: np.ndarray, probes: np.ndarray, at: Threshold) -> list[tu
     return found[np.lexsort((found[:, 1], found[:, 0]))].tolist()
 
 
-def forest(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.ndarray]] | None, at: Threshold) -> list[tuple[int, int]]:
-    """A spanning forest of the links between two tiles of (class, set), or within one."""
-    own, right = right is None, left if right is None else right
-    if not left or not right:
-        return []
-    points = np.stack([count_vector(s) for _, s in right])
-    probes = points if own else np.stack([count_vector(s) for _, s in left])
-    root, links = {c: c for c, _ in [*left, *right]}, []
-
-    def top(c: int) -> int:
-        while root[c] != c:
-            root[c] = c = root[root[c]]
-        return c
-
-    for k, j in near_pairs(points, probes, at):
-        (a, s), (b, r) = left[k], right[j]
-        if (own and j <= k) or top(a) == top(b):
-            continue
-        shared = len(s) + len(r) - len(np.union1d(s, r))
-        if shared >= at.need(len(s) + len(r)):
-            root[top(a)] = top(b)
-            links.append((a, b))
-    return links
-
-
-def count_vector(s: np.ndarray) -> np.ndarray:
-    """The number of n-grams in each group of hashes."""
-    return np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=GROUPS)
-
-
-def _sets(docs: DataFrame, n: int) -> DataFrame:
-    """id, n_shingles, cls and count vector of every document."""
+def _sets(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+    """id, n_shingles, cls, point, and how many keys the class may leave (own band, next band, last bit of its own)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = Threshold(num, den)
         for batch in batches:
             sets = [shingles(t.as_py(), n) for t in batch.column(1)]
-            points = [count_vector(s).astype("<i4").tobytes() for s in sets]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) for s in sets], pa.int64()), pa.array(points, pa.binary())], ["id", "n_shingles", "cls", "point"])
+            spare = np.array([spares(s, at) for s in sets], np.int32).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays(
+                [
+                    batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) for s in sets], pa.int64()),
+                    pa.array([packed(count_vector(s)) if len(s) else b"" for s in sets], pa.binary()), pa.array(spare[:, 0]), pa.array(spare[:, 1]),
+                    pa.array([at.band(len(s)) & 1 if len(s) else 0 for s in sets], pa.int32()),
+                ],
+                ["id", "n_shingles", "cls", "point", "spare", "spare_next", "bit"],
+            )
 
-    return docs.mapInArrow(run, "id long, n_shingles long, cls long, point binary")
+    return docs.mapInArrow(run, "id long, n_shingles long, cls long, point binary, spare int, spare_next int, bit int")
 
 
 def _keys(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
@@ -265,129 +291,173 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(k[kept]), pa.array(c[kept])], ["key", "cls"])
 
 
-def block_forest(names: np.ndarray, points: np.ndarray, at: Threshold) -> list[tuple[int, int]]:
-    """Stars over the pairs of a block whose count vectors allow enough overlap: (first class, other class)."""
-    root = list(range(len(names)))
-
-    def top(k: int) -> int:
-        while root[k] != k:
-            root[k] = k = root[root[k]]
-        return k
+def _thinned(blocks: DataFrame, classes: DataFrame) -> DataFrame:
+    """key, cls, point of the blocks that classes do not leave, where two classes at least remain."""
+    sizes = blocks.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
+    known = classes.select(F.col("cls").alias("c"), "spare", "spare_next", "bit")
+    sized = blocks.join(sizes, F.col("key") == F.col("k")).join(known, F.col("cls") == F.col("c"))
+    band = (F.col("key").bitwiseAND(F.lit(1)) == F.col("bit")).alias("own")
+    # a class has no more blocks than its text has n-grams
+    place = F.row_number().over(Window.partitionBy("cls", "own").orderBy(F.desc("m"), F.desc("key")))
+    stays = sized.select("key", "cls", band, "m", "spare", "spare_next").withColumn("place", place)
+    stays = written(stays.where(F.col("place") > F.when(F.col("own"), F.col("spare")).otherwise(F.col("spare_next"))).select("key", "cls"), "ngram-thin")
+    still = stays.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m")).where("m > 1")
+    return written(stays.join(still, F.col("key") == F.col("k")).select("key", "cls"), "ngram-thinned")
 
-    for k, j in near_pairs(points, points, at):
-        x, y = top(k), top(j)
-        root[max(x, y)] = min(x, y)
-    return [(int(names[top(k)]), int(names[k])) for k in range(len(names)) if top(k) != k]
 
-
-def _candidates(num: int, den: int):
-    """Links of candidate clusters from rows (key, class, point) sorted by key, as a stream."""
+def _star(num: int, den: int):
+    """(leader, member) of unlike components whose points allow a link, from rows sorted by key, the leader first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = Threshold(num, den)
-        key = leader = None
-        held_c, held_p = np.zeros(0, np.int64), np.zeros((0, GROUPS), np.int64)
-
-        def close() -> list[tuple[int, int]]:
-            if leader is not None:
-                return [(leader, int(c)) for c in held_c if c != leader]
-            return block_forest(held_c, held_p, at) if len(held_c) > 1 else []
-
+        at, key, lead = Threshold(num, den), None, None
         for batch in batches:
-            k, c = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            p = np.frombuffer(b"".join(batch.column(2).to_pylist()), "<i4").reshape(-1, GROUPS).astype(np.int64)
+            k, c, comp = (batch.column(x).to_numpy() for x in (0, 1, 2))
+            points, a, b = batch.column(3), [], []
             cuts = [0, *(np.flatnonzero(k[1:] != k[:-1]) + 1).tolist(), len(k)] if len(k) else [0]
-            links: list[tuple[int, int]] = []
-            # whole blocks of two, which most are, at once
-            two = np.array([x for x, y in zip(cuts[1:-2], cuts[2:-1], strict=True) if y - x == 2], np.int64)
-            if len(two):
-                size = p[two].sum(1) + p[two + 1].sum(1)
-                ok = two[np.minimum(p[two], p[two + 1]).sum(1) >= at.need(size)]
-                links += zip(c[ok].tolist(), c[ok + 1].tolist(), strict=True)
-            done = set(two.tolist())
             for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-                if x in done:
-                    continue
                 if key is None or k[x] != key:
-                    links += close()
-                    key, leader, held_c, held_p = k[x], None, c[x:y], p[x:y]
-                else:
-                    held_c, held_p = np.concatenate([held_c, c[x:y]]), np.concatenate([held_p, p[x:y]])
-                if len(held_c) > BLOCK:
-                    leader = int(held_c[0]) if leader is None else leader
-                    links += close()
-                    held_c, held_p = held_c[:0], held_p[:0]
-            if links:
-                pairs = np.unique(np.array(links, np.int64), axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
-        if links := close():
-            pairs = np.array(links, np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+                    key, lead, x = k[x], (c[x], comp[x], points[x].as_py()), x + 1
+                other = x + np.flatnonzero(comp[x:y] != lead[1])
+                if len(other):
+                    p = unpacked([lead[2], *(points[int(z)].as_py() for z in other)])
+                    size = p.sum(1)
+                    ok = other[np.minimum(p[1:], p[0]).sum(1) >= at.need(size[1:] + size[0])]
+                    a += [lead[0]] * len(ok)
+                    b += c[ok].tolist()
+            if a:
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     return run
 
 
-def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each document: id, n_shingles, component_id (smallest id reachable by links)."""
-    bound_arrow(docs.sparkSession)
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), text_or_empty(text_col).alias("text"))
-    slim = written(_sets(texts, n), "ngram-sets")
-    sorted_keys = _keys(texts, n, num, den).repartition("key").sortWithinPartitions("key", "cls")
-    blocks = written(sorted_keys.mapInArrow(_blocks, "key long, cls long"), "ngram-blocks")
-    points = slim.where("cls IS NOT NULL").groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point"))
-    placed = blocks.join(points, F.col("cls") == F.col("c")).select("key", "cls", "point").repartition("key").sortWithinPartitions("key", "cls")
-    near = written(placed.mapInArrow(_candidates(num, den), "a long, b long").distinct(), "ngram-candidates")
-    links = _verified(texts, slim, connected_components(near), n, num, den)
-    joined = connected_components(written(links, "ngram-links"))
-    known = slim.where("id IS NOT NULL")
-    rooted = known.join(joined, F.col("cls") == F.col("node"), "left").select("id", "n_shingles", F.coalesce("component", "cls").alias("root"))
-    rooted = written(rooted, "ngram-roots")
-    smallest = rooted.where("root IS NOT NULL").groupBy(F.col("root").alias("r")).agg(F.min("id").alias("component_id"))
-    whole = rooted.join(smallest, F.col("root") == F.col("r"), "left").select("id", "n_shingles", F.coalesce("component_id", "id").alias("component_id"))
-    nameless = slim.where("id IS NULL").select("id", "n_shingles", F.lit(None).cast("long").alias("component_id"))
-    return whole.unionByName(nameless).withColumnRenamed("id", id_col)
-
-
-def _verified(texts: DataFrame, slim: DataFrame, clusters: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """Links (a, b) within candidate clusters: each pair of tiles joined in one task."""
-    sizes = clusters.groupBy(F.col("component").alias("cluster")).agg(F.count("*").alias("m"))
-    spokesman = slim.where("cls IS NOT NULL AND id IS NOT NULL").groupBy("cls").agg(F.min("id").alias("id"))
-    tiled = clusters.join(sizes, F.col("component") == F.col("cluster")).select(
-        F.col("node").alias("cls"), "cluster", F.ceil(F.col("m") / TILE).cast("int").alias("tiles")
-    )
-    wanted = written(tiled.join(spokesman, "cls"), "ngram-wanted")
-    position = F.pmod(F.xxhash64("id"), F.lit(POSITIONS))
-    positions = wanted.select(position.alias("position")).distinct()  # at most POSITIONS rows
-    read = texts.withColumn("position", position).join(F.broadcast(positions), "position", "left_semi").select("id", "text")
-    tile = F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int")
-    placed = wanted.join(read, "id").withColumn("tile", tile)
-    spread = placed.select("cluster", "cls", "text", "tile", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("other")).select(
-        F.xxhash64("cluster", F.least("tile", "other"), F.greatest("tile", "other")).alias("task"), (F.col("tile") <= F.col("other")).alias("left"), (F.col("tile") == F.col("other")).alias("own"), "cls", "text",
-    )
-
-    def flush(rows: list[tuple[bool, bool, int, str]], at: Threshold) -> pa.RecordBatch | None:
-        sides: dict[bool, dict[int, np.ndarray]] = {True: {}, False: {}}
-        for left, _, c, text in rows:
-            s = shingles(text, n)
-            if class_of(s) == c:
-                sides[left][c] = s
-        links = forest(list(sides[True].items()), None if rows[0][1] else list(sides[False].items()), at)
-        return pa.RecordBatch.from_pydict({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())}) if links else None
+def tree_pairs(left: tuple[list, list, list[bytes]], right: tuple[list, list, list[bytes]] | None, at: Threshold) -> list[tuple[int, int]]:
+    """(lesser, greater) class of unlike components that the R-tree's bound allows, between two tiles or within one."""
+    own, right = right is None, left if right is None else right
+    points = unpacked([*left[2], *([] if own else right[2])])
+    probes = points[: len(left[0])]
+    rows = probes if own else points[len(left[0]) :]
+    return [(min(x, y), max(x, y)) for i, j in near_pairs(rows, probes, at) if left[1][i] != right[1][j] and (x := left[0][i]) != (y := right[0][j]) and (j > i or not own)]
+
+
+def _trees(num: int, den: int):
+    """Pairs of unlike components from rows (task, left, own, cls, component, point) sorted by task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, task, rows = Threshold(num, den), None, []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            sides = [[x[2:] for x in rows if x[0] == side] for side in (True, False)]
+            left, right = (tuple(map(list, zip(*x, strict=True))) if x else None for x in sides)
+            if left and (right or rows[0][1]) and len(set(left[1]) | set(right[1] if right else ())) > 1:
+                if found := tree_pairs(left, right, at):
+                    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*set(found), strict=True)], ["a", "b"])
+
         for batch in batches:
             for t, *row in zip(*[c.to_pylist() for c in batch.columns], strict=True):
                 if t != task and rows:
-                    if out := flush(rows, at):
-                        yield out
+                    yield from flush()
                     rows = []
                 task = t
-                rows.append(tuple(row))
-        if rows and (out := flush(rows, at)):
-            yield out
+                rows.append(row)
+        if rows:
+            yield from flush()
+
+    return run
+
+
+def _verify(n: int, num: int, den: int):
+    """Links (a, b) from rows (a, part, member, cls, text), sorted so that a's own text comes before its members'."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, leader, own = Threshold(num, den), None, None
+        for batch in batches:
+            a, b = [], []
+            for lead, member, cls, text in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), batch.column(4), strict=True):
+                s = shingles(text.as_py(), n)
+                if class_of(s) != cls:
+                    continue
+                if not member:
+                    leader, own = lead, s
+                elif leader == lead and len(s) + len(own) - len(np.union1d(s, own)) >= at.need(len(s) + len(own)):
+                    a.append(lead)
+                    b.append(cls)
+            if a:
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
-    return spread.repartition("task").sortWithinPartitions("task").mapInArrow(run, "a long, b long")
+    return run
+
+
+def _linked(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int, label: str) -> DataFrame:
+    """The pairs (a, b) that are links; a's text goes to a task once for about ``MEMBERS`` members."""
+    many = pairs.groupBy(F.col("a").alias("lead")).agg(F.ceil(F.count("*") / MEMBERS).alias("parts"))
+    dealt = pairs.join(many, F.col("a") == F.col("lead")).select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).alias("part"))
+    leads = dealt.select("a", "part").distinct().join(texts, F.col("a") == F.col("cls")).select("a", "part", F.lit(False).alias("member"), "cls", "text")
+    members = dealt.join(texts, F.col("b") == F.col("cls")).select("a", "part", F.lit(True).alias("member"), "cls", "text")
+    rows = leads.unionByName(members).repartition("a", "part").sortWithinPartitions("a", "part", "member")
+    return written(rows.mapInArrow(_verify(n, num, den), "a long, b long"), label)
+
+
+def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
+    """cls, text of the given classes, from the document of smallest id that has it."""
+    spokesman = slim.where("cls IS NOT NULL AND id IS NOT NULL").groupBy("cls").agg(F.min("id").alias("id"))
+    wanted = written(spokesman.join(classes.withColumnRenamed("cls", "c"), F.col("cls") == F.col("c"), "left_semi"), "ngram-wanted")
+    position = F.pmod(F.xxhash64("id"), F.lit(POSITIONS))
+    positions = wanted.select(position.alias("position")).distinct()  # at most POSITIONS rows, whatever the data
+    read = texts.withColumn("position", position).join(F.broadcast(positions), "position", "left_semi").select("id", "text")
+    return written(read.join(wanted, "id").select("cls", "text"), "ngram-texts")
+
+
+def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
+    """Links (a, b) between classes: enough to join all that links join."""
+    links = None
+    for step in range(STARS + 1):
+        held = blocks.withColumn("component", F.col("cls"))
+        if links is not None:
+            roots = connected_components(links)
+            held = blocks.join(roots, F.col("cls") == F.col("node"), "left").select("key", "cls", F.coalesce("component", "cls").alias("component"))
+            held = written(held, "ngram-held")
+            # blocks of one component are done
+            mixed = held.groupBy(F.col("key").alias("k")).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
+            held = held.join(mixed, F.col("key") == F.col("k"), "left_semi")
+        placed = held.join(points, F.col("cls") == F.col("c"))
+        if step < STARS:
+            # first leaders that all blocks agree on, later others in each block
+            order = F.xxhash64("cls") if step == 0 else F.xxhash64(F.lit(step), "key", "cls")
+            stars = placed.repartition("key").sortWithinPartitions("key", order, "cls").select("key", "cls", "component", "point").mapInArrow(_star(num, den), "a long, b long")
+            pairs = stars.groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
+        else:
+            sizes = held.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
+            tiled = placed.join(sizes, F.col("key") == F.col("k")).withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
+            spread = tiled.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
+                F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
+            )
+            pairs = spread.repartition("task").sortWithinPartitions("task").mapInArrow(_trees(num, den), "a long, b long").distinct()
+        pairs = written(pairs, "ngram-pairs")
+        found = _linked(pairs, texts, n, num, den, "ngram-links")
+        links = found if links is None else links.unionByName(found)
+    return links
+
+
+def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row for each document: id, n_shingles, component_id (smallest id reachable by links)."""
+    spark = docs.sparkSession
+    bound_arrow(spark)
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), text_or_empty(text_col).alias("text"))
+    slim = written(_sets(texts, n, num, den), "ngram-sets")
+    mark = written_mark()
+    classes = slim.where("cls IS NOT NULL").groupBy("cls").agg(*[F.first(c).alias(c) for c in ("spare", "spare_next", "bit")])
+    points = slim.where("cls IS NOT NULL").groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point"))
+    sorted_keys = _keys(texts, n, num, den).repartition("key").sortWithinPartitions("key", "cls")
+    blocks = _thinned(written(sorted_keys.mapInArrow(_blocks, "key long, cls long"), "ngram-blocks"), classes)
+    wanted = _wanted(texts, slim, blocks.select("cls").distinct())
+    joined = connected_components(_class_links(blocks, points, wanted, n, num, den))
+    names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
+    rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
+    release_since(spark, mark, keep=rooted)
+    smallest = rooted.groupBy(F.col("root").alias("r")).agg(F.min("least").alias("component_id"))
+    known = rooted.join(smallest, F.col("root") == F.col("r")).select(F.col("cls").alias("c"), "component_id")
+    whole = slim.join(known, F.col("cls") == F.col("c"), "left")
+    return whole.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id")).alias("component_id"))
 
 
 def keep_smallest(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

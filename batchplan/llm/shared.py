@@ -49,12 +49,25 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def written_mark() -> int:
+    """A point in the order of written tables, for ``release_since``."""
+    return len(_made)
+
+
+def release_since(spark: SparkSession, mark: int = 0, keep: DataFrame | None = None) -> None:
+    """Delete the tables written since ``mark``, but for what ``keep`` reads; nothing may read the others any more."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    spared = keep.inputFiles() if keep is not None else []
+    for made in _made[mark:]:
+        if not any(made.rsplit("/", 1)[1] in f for f in spared):
+            path = jvm.org.apache.hadoop.fs.Path(made)
+            path.getFileSystem(conf).delete(path, True)
+            _made.remove(made)
+
+
 def release(spark: SparkSession) -> None:
     """Delete the tables that operators have written so far; call it when their results are stored elsewhere."""
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    while _made:
-        path = jvm.org.apache.hadoop.fs.Path(_made.pop())
-        path.getFileSystem(conf).delete(path, True)
+    release_since(spark)
 
 
 def publish(fs: pafs.FileSystem, made: str, final: str) -> None:

@@ -90,9 +90,10 @@ def test_ngram_components(spark, n, num, den):
     assert got == brute_components(texts, n, num, den)
 
 
-def test_ngram_large_block_and_small_tiles(spark, monkeypatch):
+@pytest.mark.parametrize("stars", [0, 1, 3])
+def test_ngram_large_block_and_small_tiles(spark, monkeypatch, stars):
     monkeypatch.setattr(ngram_join, "TILE", 8)
-    monkeypatch.setattr(ngram_join, "BLOCK", 16)
+    monkeypatch.setattr(ngram_join, "STARS", stars)
     rng = random.Random(3)
     base = [f"v{k}" for k in range(60)]
     texts = []
@@ -160,12 +161,29 @@ def test_ngram_links_of_short_documents(spark, n, num, den, sizes):
     assert got == want and len({c for _, c in want.values()}) < len(texts)
 
 
-@pytest.mark.parametrize("one_task", [0, 10**6])
-def test_components_of_paths_and_hubs(spark, one_task):
+def test_ngram_thousands_of_short_near_copies(spark):
+    """Copies of one short document with one word exchanged, among others that share a passage with them.
+
+    Of 29 pairs of words an exchange makes two new ones (one at either end): copies exchanged at the same place
+    share 27 of 31 or more, so do those at the ends with each other and with their neighbours, all others 26 of 32 or less.
+    """
+    rng = random.Random(12)
+    base, texts, group = [f"c{k}" for k in range(30)], [], {}
+    for k in range(5000):
+        w, place = list(base), rng.randrange(30)
+        w[place] = f"x{rng.randrange(4000)}"
+        alone = k % 5 == 0
+        texts.append(" ".join([f"own{k}w{i}" for i in range(20)] + base[:12]) if alone else " ".join(w))
+        group.setdefault(("alone", k) if alone else 0 if place in (0, 1, 28, 29) else place, []).append(k)
+    got = {r.doc_id: r.component_id for r in ngram_join.jaccard_components(docs_of(spark, texts), 2, 85, 100).collect()}
+    assert len(group) == 1027 and got == {k: min(g) for g in group.values() for k in g}
+
+
+def test_components_of_paths_and_hubs(spark):
     links = [(k, k + 1) for k in range(40)] + [(100, 100 + k) for k in range(1, 60)] + [(7, 7), (None, 3)]
-    got = {r.node: r.component for r in components.connected_components(spark.createDataFrame(links, "a long, b long"), one_task).collect()}
+    got = {r.node: r.component for r in components.connected_components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert got == {**{k: 0 for k in range(41)}, **{100 + k: 100 for k in range(60)}}
-    assert components.connected_components(spark.createDataFrame([], "a long, b long"), one_task).count() == 0
+    assert components.connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
 def test_fuzzy_lines(spark):
