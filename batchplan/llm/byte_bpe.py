@@ -33,7 +33,7 @@ from batchplan.llm.shared import bound_arrow, text_or_empty, worker_cache
 
 LONG_WORD = 256
 #: Distinct chunks of texts (a blank and what follows) and words that a worker remembers.
-CHUNKS, WORDS = 600_000, 400_000
+CHUNKS, WORDS = 400_000, 250_000
 #: Bytes of distinct words in one recursive query; tokens in one decoding query.
 QUERY_BYTES, QUERY_TOKENS = 400_000, 400_000
 #: Characters that are split into words at a time.

@@ -52,7 +52,7 @@ MEMBERS = 512
 #: A bounded set of positions picks out the documents that verification needs.
 POSITIONS = 1 << 19
 #: Word hashes that a worker remembers; bytes of one text that are split at a time.
-WORDS, STRETCH = 800_000, 4 << 20
+WORDS, STRETCH = 400_000, 4 << 20
 
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -292,7 +292,7 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _thinned(blocks: DataFrame, classes: DataFrame) -> DataFrame:
-    """key, cls, point of the blocks that classes do not leave, where two classes at least remain."""
+    """key, cls of the blocks that classes do not leave, where two classes at least remain; of equal blocks one."""
     sizes = blocks.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
     known = classes.select(F.col("cls").alias("c"), "spare", "spare_next", "bit")
     sized = blocks.join(sizes, F.col("key") == F.col("k")).join(known, F.col("cls") == F.col("c"))
@@ -301,31 +301,41 @@ def _thinned(blocks: DataFrame, classes: DataFrame) -> DataFrame:
     place = F.row_number().over(Window.partitionBy("cls", "own").orderBy(F.desc("m"), F.desc("key")))
     stays = sized.select("key", "cls", band, "m", "spare", "spare_next").withColumn("place", place)
     stays = written(stays.where(F.col("place") > F.when(F.col("own"), F.col("spare")).otherwise(F.col("spare_next"))).select("key", "cls"), "ngram-thin")
-    still = stays.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m")).where("m > 1")
+    # copies share most of their pieces: blocks of the same classes, by their number and two sums of hashes
+    name = F.xxhash64("cls")
+    mark = [F.count("*").alias("m"), F.sum(name.cast("decimal(20,0)")).alias("s"), F.bit_xor(F.xxhash64(F.lit(9), "cls")).alias("x")]
+    still = stays.groupBy("key").agg(*mark).where("m > 1").groupBy("m", "s", "x").agg(F.min("key").alias("k"))
     return written(stays.join(still, F.col("key") == F.col("k")).select("key", "cls"), "ngram-thinned")
 
 
-def _star(num: int, den: int):
-    """(leader, member) of unlike components whose points allow a link, from rows sorted by key, the leader first."""
+def _star(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(leader, member) of unlike components, from rows (key, cls, component) sorted by key, the leader first."""
+    key = lead = root = np.zeros(0, np.int64)
+    for batch in batches:
+        k, c, comp = (batch.column(x).to_numpy() for x in range(3))
+        if not len(k):
+            continue
+        k, c, comp = np.concatenate([key, k]), np.concatenate([lead, c]), np.concatenate([root, comp])  # the last leader leads on
+        starts = np.concatenate([[True], k[1:] != k[:-1]])
+        first = np.flatnonzero(starts)[np.cumsum(starts) - 1]
+        key, lead, root = k[-1:], c[first[-1:]], comp[first[-1:]]
+        unlike = comp != comp[first]
+        pairs = np.unique(np.stack([c[first][unlike], c[unlike]], 1), axis=0)
+        if len(pairs):
+            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+
+def _bounded(num: int, den: int):
+    """Pairs (a, b) whose points p, q allow a link."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, key, lead = Threshold(num, den), None, None
+        at = Threshold(num, den)
         for batch in batches:
-            k, c, comp = (batch.column(x).to_numpy() for x in (0, 1, 2))
-            points, a, b = batch.column(3), [], []
-            cuts = [0, *(np.flatnonzero(k[1:] != k[:-1]) + 1).tolist(), len(k)] if len(k) else [0]
-            for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-                if key is None or k[x] != key:
-                    key, lead, x = k[x], (c[x], comp[x], points[x].as_py()), x + 1
-                other = x + np.flatnonzero(comp[x:y] != lead[1])
-                if len(other):
-                    p = unpacked([lead[2], *(points[int(z)].as_py() for z in other)])
-                    size = p.sum(1)
-                    ok = other[np.minimum(p[1:], p[0]).sum(1) >= at.need(size[1:] + size[0])]
-                    a += [lead[0]] * len(ok)
-                    b += c[ok].tolist()
-            if a:
-                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+            ok = []
+            for p, q in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                x = unpacked([p, q])
+                ok.append(bool(np.minimum(x[0], x[1]).sum() >= at.need(int(x.sum()))))
+            yield batch.select([0, 1]).filter(pa.array(ok, pa.bool_()))
 
     return run
 
@@ -419,15 +429,16 @@ def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int,
             # blocks of one component are done
             mixed = held.groupBy(F.col("key").alias("k")).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
             held = held.join(mixed, F.col("key") == F.col("k"), "left_semi")
-        placed = held.join(points, F.col("cls") == F.col("c"))
         if step < STARS:
             # first leaders that all blocks agree on, later others in each block
             order = F.xxhash64("cls") if step == 0 else F.xxhash64(F.lit(step), "key", "cls")
-            stars = placed.repartition("key").sortWithinPartitions("key", order, "cls").select("key", "cls", "component", "point").mapInArrow(_star(num, den), "a long, b long")
-            pairs = stars.groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
+            stars = held.select("key", "cls", "component").repartition("key").sortWithinPartitions("key", order, "cls").mapInArrow(_star, "a long, b long").distinct()
+            near = stars.join(points.toDF("c", "p"), F.col("a") == F.col("c")).drop("c").join(points.toDF("c", "q"), F.col("b") == F.col("c")).select("a", "b", "p", "q")
+            pairs = near.mapInArrow(_bounded(num, den), "a long, b long").groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
         else:
             sizes = held.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
-            tiled = placed.join(sizes, F.col("key") == F.col("k")).withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
+            placed = held.join(points, F.col("cls") == F.col("c")).join(sizes, F.col("key") == F.col("k"))
+            tiled = placed.withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
             spread = tiled.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
                 F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
             )
@@ -446,10 +457,12 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     slim = written(_sets(texts, n, num, den), "ngram-sets")
     mark = written_mark()
     classes = slim.where("cls IS NOT NULL").groupBy("cls").agg(*[F.first(c).alias(c) for c in ("spare", "spare_next", "bit")])
-    points = slim.where("cls IS NOT NULL").groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point"))
     sorted_keys = _keys(texts, n, num, den).repartition("key").sortWithinPartitions("key", "cls")
     blocks = _thinned(written(sorted_keys.mapInArrow(_blocks, "key long, cls long"), "ngram-blocks"), classes)
-    wanted = _wanted(texts, slim, blocks.select("cls").distinct())
+    near = written(blocks.select("cls").distinct(), "ngram-near")
+    wanted = _wanted(texts, slim, near)
+    held = slim.join(near.withColumnRenamed("cls", "c"), F.col("cls") == F.col("c"), "left_semi")
+    points = written(held.groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point")), "ngram-points")
     joined = connected_components(_class_links(blocks, points, wanted, n, num, den))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")

@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import os
+import re
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -25,9 +29,11 @@ _made: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of ours if unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or on a local session one of ours if unset."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir is not set: on a cluster it must name a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="batchplan-")
         spark.conf.set("spark.checkpoint.dir", base)
     return base.rstrip("/")
@@ -83,7 +89,11 @@ _worker: dict = {}
 def worker_cache(key: tuple, make: Callable[[], T]) -> T:
     """What a Python worker keeps between its tasks: one operator's cache at a time, so they don't add up."""
     if key not in _worker:
-        _worker.clear()
+        if _worker:
+            _worker.clear()
+            gc.collect()
+            with contextlib.suppress(OSError, AttributeError):  # a C library without it keeps the memory
+                ctypes.CDLL(None).malloc_trim(0)
         _worker[key] = make()
     return _worker[key]
 

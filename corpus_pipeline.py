@@ -11,29 +11,34 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join
-from batchplan.llm.shared import table, written
+from batchplan.llm.shared import release_since, table, written, written_mark
 
 #: Least share of a document's character n-grams that must fit its language.
 LEAST_FIT = 0.3
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose n-grams fit a language; null texts and texts without letters go, repeated rows are judged alike."""
     return language_id.drop_unidentified(docs, LEAST_FIT)
 
 
 def drop_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each text, that of the smallest id (null last); a null text counts as empty."""
     return exact_dedup.drop_exact_duplicates(docs, keep="smallest")
 
 
 def drop_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of smallest id of each group of near copies; documents without words or without an id stay."""
     return ngram_join.keep_smallest(docs, n=5, num=80, den=100)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents repeated, cut out or kept until each source (a null one too) is near its target; no rows for none."""
     return mixing.mix_documents(docs)
 
 
 def encode_bytes(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The token digests of each row; a null text counts as empty."""
     return byte_bpe.encode_documents(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, with_ids=False)
 
 
@@ -51,9 +56,10 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages applied to ``documents``."""
-    docs = table(spark, sf_dir, "documents")
+    docs, mark = table(spark, sf_dir, "documents"), written_mark()
     for name, stage in STAGES:
         docs = stage(spark, docs, sf_dir)
         if stage is not STAGES[-1][1]:
             docs = written(docs, name)
+            release_since(spark, mark, keep=docs)
     return docs
