@@ -29,13 +29,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.pieces import PieceStore, stretches
-from batchplan.llm.shared import bound_arrow, text_or_empty, worker_cache
+from batchplan.llm.shared import bound_arrow, text_or_empty, tidied, worker_cache
 
 LONG_WORD = 256
 #: Distinct chunks of texts (a blank and what follows) and words that a worker remembers.
 CHUNKS, WORDS = 400_000, 250_000
-#: Bytes of distinct words in one recursive query; tokens in one decoding query.
-QUERY_BYTES, QUERY_TOKENS = 400_000, 400_000
+#: Rows that one recursive query may keep (a word keeps the square of its bytes at most); tokens in one decoding query.
+QUERY_ROWS, QUERY_TOKENS = 3_000_000, 400_000
 #: Characters that are split into words at a time.
 STRETCH = 1 << 21
 
@@ -79,7 +79,7 @@ class ByteBpe:
         self.byte_id = np.array([self.ranks[bytes([b])] for b in range(256)], np.int32)
         self.store = PieceStore(self._encode_chunks, CHUNKS)
         self.known = PieceStore(self._encode_words, WORDS)
-        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "350MB", "temp_directory": ""})
+        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "300MB", "temp_directory": ""})
         pairs = [(left, right, i) for b, i in self.ranks.items() for k in range(1, len(b)) if (left := self.ranks.get(b[:k])) is not None and (right := self.ranks.get(b[k:])) is not None]
         left, right, ids = np.array(pairs, np.int64).reshape(-1, 3).T
         self._create("merges", pair=(left << 17) + right, id=ids.astype(np.int32))
@@ -147,8 +147,8 @@ class ByteBpe:
                 held = 0
                 continue
             todo.append(b)
-            held += len(b)
-            if held >= QUERY_BYTES or len(todo) >= 1 << 16:
+            held += len(b) * len(b)
+            if held >= QUERY_ROWS or len(todo) >= 1 << 16:
                 contract()
                 held = 0
         contract()
@@ -251,4 +251,4 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, id_col: str = "do
                     yield rows(bpe, keys[a : b + 1], coded[a : b + 1], key_type)
                     a, held = b + 1, 0
 
-    return docs.select(F.col(id_col), text_or_empty(text_col)).mapInArrow(run, schema)
+    return docs.select(F.col(id_col), text_or_empty(text_col)).mapInArrow(tidied(run), schema)

@@ -41,12 +41,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from batchplan.llm.components import connected_components
-from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, worker_cache, written, written_mark
+from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, tidied, worker_cache, written, written_mark
 
 #: Classes in a tile of the last step, on average; rounds of stars before it.
 TILE, STARS = 512, 3
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
+#: Classes of a block that are counted; larger blocks count as equal.
+COUNTED = 1 << 16
 #: Pairs of one leader that one task verifies, on average.
 MEMBERS = 512
 #: A bounded set of positions picks out the documents that verification needs.
@@ -92,9 +94,10 @@ def shingles(text: str, n: int) -> np.ndarray:
         return w
     k = min(n, len(w))
     h = np.full(len(w) - k + 1, k, np.uint64)
-    for j in range(k):
-        h = mix64(h * _A + w[j : len(w) - k + 1 + j])
-    return np.unique(h)
+    for j in range(k):  # word hashes are mixed already; the product tells their places apart
+        h *= _A
+        h += w[j : len(w) - k + 1 + j]
+    return np.unique(mix64(h))
 
 
 def class_of(s: np.ndarray) -> int | None:
@@ -230,72 +233,71 @@ def near_pairs(points: np.ndarray, probes: np.ndarray, at: Threshold) -> list[tu
 
 
 def _sets(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """id, n_shingles, cls, point, and how many keys the class may leave (own band, next band, last bit of its own)."""
+    """id, n_shingles, cls of each document; for the first of a class in a partition its keys, how many of them
+    the class may leave (own band, next band), and the last bit of its own band."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = Threshold(num, den)
+        at, seen = Threshold(num, den), set()
         for batch in batches:
             sets = [shingles(t.as_py(), n) for t in batch.column(1)]
-            spare = np.array([spares(s, at) for s in sets], np.int32).reshape(-1, 2)
+            names, keys, spare, bits = [class_of(s) for s in sets], [], [], []
+            for s, c in zip(sets, names, strict=True):
+                first = c is not None and c not in seen
+                seen.add(c)
+                keys.append(piece_keys(s, at).view(np.int64) if first else None)
+                spare.append(spares(s, at) if first else (None, None))
+                bits.append(at.band(len(s)) & 1 if first else None)
             yield pa.RecordBatch.from_arrays(
                 [
-                    batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_of(s) for s in sets], pa.int64()),
-                    pa.array([packed(count_vector(s)) if len(s) else b"" for s in sets], pa.binary()), pa.array(spare[:, 0]), pa.array(spare[:, 1]),
-                    pa.array([at.band(len(s)) & 1 if len(s) else 0 for s in sets], pa.int32()),
+                    batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(names, pa.int64()), pa.array(keys, pa.list_(pa.int64())),
+                    pa.array([x for x, _ in spare], pa.int32()), pa.array([x for _, x in spare], pa.int32()), pa.array(bits, pa.int32()),
                 ],
-                ["id", "n_shingles", "cls", "point", "spare", "spare_next", "bit"],
+                ["id", "n_shingles", "cls", "keys", "spare", "spare_next", "bit"],
             )
 
-    return docs.mapInArrow(run, "id long, n_shingles long, cls long, point binary, spare int, spare_next int, bit int")
+    return docs.mapInArrow(tidied(run), "id long, n_shingles long, cls long, keys array<long>, spare int, spare_next int, bit int")
 
 
-def _keys(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """key, cls: the piece keys of each class, once for each partition that has it."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, seen = Threshold(num, den), set()
-        for batch in batches:
-            keys, names = [], []
-            for text in batch.column(1):
-                s = shingles(text.as_py(), n)
-                c = class_of(s)
-                if c is not None and c not in seen:
-                    seen.add(c)
-                    keys.append(piece_keys(s, at))
-                    names.append(np.full(len(keys[-1]), c, np.int64))
-            if keys:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.concatenate(names))], ["key", "cls"])
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The rows (key, class, m) of keys that at least two classes have, from sorted rows, as a stream.
 
-    return docs.mapInArrow(run, "key long, cls long")
+    m is the number of the key's classes, and ``COUNTED`` for all of a key that has more.
+    """
+    key = held = np.zeros(0, np.int64)  # what has been read of the last key, and not been given out
+    over = False  # whether the last key has more than COUNTED
 
+    def rows(k: np.ndarray, c: np.ndarray, m: np.ndarray) -> Iterator[pa.RecordBatch]:
+        ok = m > 1
+        if ok.any():
+            yield pa.RecordBatch.from_arrays([pa.array(k[ok]), pa.array(c[ok]), pa.array(m[ok], pa.int32())], ["key", "cls", "m"])
 
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The rows (key, class) of keys that at least two classes have, from sorted rows, as a stream."""
-    last, waits = None, True  # the last row seen, and whether it waits for another of its key
     for batch in batches:
-        k, c = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+        k, c = np.concatenate([key, batch.column(0).to_numpy()]), np.concatenate([held, batch.column(1).to_numpy()])
         if not len(k):
             continue
-        if last is not None:
-            k, c = np.concatenate([[last[0]], k]), np.concatenate([[last[1]], c])
         fresh = np.concatenate([[True], (k[1:] != k[:-1]) | (c[1:] != c[:-1])])
         k, c = k[fresh], c[fresh]
-        same = k[1:] == k[:-1]
-        kept = np.concatenate([[False], same]) | np.concatenate([same, [False]])
-        if last is not None:
-            kept[0] &= waits
-        if len(same):
-            waits = not same[-1]
-        last = (k[-1], c[-1])
-        if kept.any():
-            yield pa.RecordBatch.from_arrays([pa.array(k[kept]), pa.array(c[kept])], ["key", "cls"])
+        starts = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+        m = np.diff(np.concatenate([starts, [len(k)]]))
+        last, whole = starts[-1], np.repeat(np.minimum(m, COUNTED), m)
+        if over and last:  # the rest of a key that is too large to count; its first row was given out before
+            whole[: m[0]] = COUNTED
+            yield from rows(k[1 : m[0]], c[1 : m[0]], whole[1 : m[0]])
+            k, c, whole, last = k[m[0] :], c[m[0] :], whole[m[0] :], last - m[0]
+            over = False
+        yield from rows(k[:last], c[:last], whole[:last])
+        key, held = k[last:], c[last:]
+        if over or len(held) > COUNTED:
+            given = slice(1 if over else 0, len(held))
+            yield from rows(key[given], held[given], np.full(len(held[given]), COUNTED))
+            key, held, over = key[-1:], held[-1:], True
+    if len(key) > 1 and not over:
+        yield from rows(key, held, np.full(len(key), len(key)))
 
 
 def _thinned(blocks: DataFrame, classes: DataFrame) -> DataFrame:
     """key, cls of the blocks that classes do not leave, where two classes at least remain; of equal blocks one."""
-    sizes = blocks.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
-    known = classes.select(F.col("cls").alias("c"), "spare", "spare_next", "bit")
-    sized = blocks.join(sizes, F.col("key") == F.col("k")).join(known, F.col("cls") == F.col("c"))
+    sized = blocks.join(classes.withColumnRenamed("cls", "c"), F.col("cls") == F.col("c"))
     band = (F.col("key").bitwiseAND(F.lit(1)) == F.col("bit")).alias("own")
     # a class has no more blocks than its text has n-grams
     place = F.row_number().over(Window.partitionBy("cls", "own").orderBy(F.desc("m"), F.desc("key")))
@@ -397,6 +399,17 @@ def _verify(n: int, num: int, den: int):
     return run
 
 
+def _points(n: int):
+    """c, point of each class from rows (cls, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            points = [packed(count_vector(shingles(t.as_py(), n))) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(points, pa.binary())], ["c", "point"])
+
+    return run
+
+
 def _linked(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int, label: str) -> DataFrame:
     """The pairs (a, b) that are links; a's text goes to a task once for about ``MEMBERS`` members."""
     many = pairs.groupBy(F.col("a").alias("lead")).agg(F.ceil(F.count("*") / MEMBERS).alias("parts"))
@@ -404,7 +417,7 @@ def _linked(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int, labe
     leads = dealt.select("a", "part").distinct().join(texts, F.col("a") == F.col("cls")).select("a", "part", F.lit(False).alias("member"), "cls", "text")
     members = dealt.join(texts, F.col("b") == F.col("cls")).select("a", "part", F.lit(True).alias("member"), "cls", "text")
     rows = leads.unionByName(members).repartition("a", "part").sortWithinPartitions("a", "part", "member")
-    return written(rows.mapInArrow(_verify(n, num, den), "a long, b long"), label)
+    return written(rows.mapInArrow(tidied(_verify(n, num, den)), "a long, b long"), label)
 
 
 def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
@@ -442,7 +455,7 @@ def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int,
             spread = tiled.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
                 F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
             )
-            pairs = spread.repartition("task").sortWithinPartitions("task").mapInArrow(_trees(num, den), "a long, b long").distinct()
+            pairs = spread.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(_trees(num, den)), "a long, b long").distinct()
         pairs = written(pairs, "ngram-pairs")
         found = _linked(pairs, texts, n, num, den, "ngram-links")
         links = found if links is None else links.unionByName(found)
@@ -454,19 +467,19 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     spark = docs.sparkSession
     bound_arrow(spark)
     texts = docs.select(F.col(id_col).cast("long").alias("id"), text_or_empty(text_col).alias("text"))
-    slim = written(_sets(texts, n, num, den), "ngram-sets")
     mark = written_mark()
-    classes = slim.where("cls IS NOT NULL").groupBy("cls").agg(*[F.first(c).alias(c) for c in ("spare", "spare_next", "bit")])
-    sorted_keys = _keys(texts, n, num, den).repartition("key").sortWithinPartitions("key", "cls")
-    blocks = _thinned(written(sorted_keys.mapInArrow(_blocks, "key long, cls long"), "ngram-blocks"), classes)
+    sets = written(_sets(texts, n, num, den), "ngram-sets")
+    slim = sets.select("id", "n_shingles", "cls")
+    classes = sets.where("bit IS NOT NULL").groupBy("cls").agg(*[F.min(c).alias(c) for c in ("spare", "spare_next", "bit")])
+    keyed = sets.select(F.explode("keys").alias("key"), "cls").repartition("key").sortWithinPartitions("key", "cls")
+    blocks = _thinned(written(keyed.mapInArrow(tidied(_blocks), "key long, cls long, m int"), "ngram-blocks"), classes)
     near = written(blocks.select("cls").distinct(), "ngram-near")
     wanted = _wanted(texts, slim, near)
-    held = slim.join(near.withColumnRenamed("cls", "c"), F.col("cls") == F.col("c"), "left_semi")
-    points = written(held.groupBy(F.col("cls").alias("c")).agg(F.first("point").alias("point")), "ngram-points")
+    points = written(wanted.mapInArrow(tidied(_points(n)), "c long, point binary"), "ngram-points")
     joined = connected_components(_class_links(blocks, points, wanted, n, num, den))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
-    release_since(spark, mark, keep=rooted)
+    release_since(spark, mark, keep=rooted.unionByName(sets.select(F.col("cls"), F.col("id").alias("least"), F.col("id").alias("root"))))
     smallest = rooted.groupBy(F.col("root").alias("r")).agg(F.min("least").alias("component_id"))
     known = rooted.join(smallest, F.col("root") == F.col("r")).select(F.col("cls").alias("c"), "component_id")
     whole = slim.join(known, F.col("cls") == F.col("c"), "left")

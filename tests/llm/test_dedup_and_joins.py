@@ -4,6 +4,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from batchplan.llm import components, exact_dedup, fuzzy_lines, ngram_join, vector_links
@@ -161,6 +162,18 @@ def test_ngram_links_of_short_documents(spark, n, num, den, sizes):
     assert got == want and len({c for _, c in want.values()}) < len(texts)
 
 
+@pytest.mark.parametrize("size", [1, 2, 5, 100])
+def test_blocks_as_a_stream(monkeypatch, size):
+    """Whatever the batches, each key with two classes or more comes once a class, with its count or the bound."""
+    monkeypatch.setattr(ngram_join, "COUNTED", 4)
+    rng = random.Random(4)
+    rows = sorted((k, c) for k in range(12) for c in range(rng.choice((1, 1, 2, 4, 5, 11))) for _ in range(rng.choice((1, 1, 3))))
+    batches = [pa.RecordBatch.from_arrays([pa.array([k for k, _ in part], pa.int64()), pa.array([c for _, c in part], pa.int64())], ["key", "cls"]) for part in (rows[a : a + size] for a in range(0, len(rows), size))]
+    got = [tuple(r.values()) for b in ngram_join._blocks(iter(batches)) for r in b.to_pylist()]
+    many = {k: len({c for j, c in rows if j == k}) for k, _ in rows}
+    assert got == [(k, c, min(many[k], 4)) for k, c in sorted(set(rows)) if many[k] > 1]
+
+
 def test_ngram_thousands_of_short_near_copies(spark):
     """Copies of one short document with one word exchanged, among others that share a passage with them.
 
