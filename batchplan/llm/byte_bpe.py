@@ -33,11 +33,11 @@ from batchplan.llm.shared import bound_arrow, text_or_empty, tidied, worker_cach
 
 LONG_WORD = 256
 #: Distinct chunks of texts (a blank and what follows) and words that a worker remembers.
-CHUNKS, WORDS = 400_000, 250_000
+CHUNKS, WORDS = 400_000, 150_000
 #: Rows that one recursive query may keep (a word keeps the square of its bytes at most); tokens in one decoding query.
-QUERY_ROWS, QUERY_TOKENS = 3_000_000, 400_000
+QUERY_ROWS, QUERY_TOKENS = 1_500_000, 200_000
 #: Characters that are split into words at a time.
-STRETCH = 1 << 21
+STRETCH = 1 << 20
 
 #: Unicode white space, as the patterns' \s means it, inside a character class.
 SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -251,4 +251,4 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, id_col: str = "do
                     yield rows(bpe, keys[a : b + 1], coded[a : b + 1], key_type)
                     a, held = b + 1, 0
 
-    return docs.select(F.col(id_col), text_or_empty(text_col)).mapInArrow(tidied(run), schema)
+    return docs.select(F.col(id_col), text_or_empty(text_col)).mapInArrow(tidied(run, "byte_bpe"), schema)

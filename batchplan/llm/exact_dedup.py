@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from batchplan.llm.shared import bound_arrow, written
+from batchplan.llm.shared import bound_arrow, tidied, written
 
 #: Bytes of the text that lead the sort order and the splitters; ids and a hash follow them.
 HEAD = 24
@@ -132,7 +132,7 @@ def _sorted_runs(docs: DataFrame, id_col: str, text: Column, keep: str, row: lis
     )
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    return written(ranged.mapInArrow(_mark(to_arrow_schema(out)), out), "exact-dedup")
+    return written(ranged.mapInArrow(tidied(_mark(to_arrow_schema(out))), out), "exact-dedup")
 
 
 def _whole_groups(runs: DataFrame) -> DataFrame:

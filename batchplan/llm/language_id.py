@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from batchplan.llm.shared import bound_arrow, text_or_empty
+from batchplan.llm.shared import bound_arrow, text_or_empty, tidied
 
 GRAMS = (2, 3, 4)
 SAMPLE_ROWS = 3000
@@ -164,7 +164,7 @@ def fit(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", id_
             sums = np.bincount(at, weights=times, minlength=len(distinct)).astype(np.int64)
             yield pa.RecordBatch.from_pydict({"lang": [lang] * len(distinct), "gram": distinct.view(np.int64), "n": sums})
 
-    found = rows.where(chosen).select(lang_col, text_col).mapInArrow(count, "lang string, gram long, n long")
+    found = rows.where(chosen).select(lang_col, text_col).mapInArrow(tidied(count), "lang string, gram long, n long")
     table = found.groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(f"n >= {SEEN}").toPandas()
     grams, at = np.unique(table["gram"].to_numpy(np.int64), return_inverse=True)
     share = np.zeros((len(grams), len(languages)))
@@ -192,7 +192,7 @@ def predict(docs: DataFrame, filter_: GramFilter, id_col: str = "doc_id", text_c
             columns = [*batch.columns[:-1], pa.array([d[0] for d in decided], pa.string()), pa.array([d[1] for d in decided], pa.float64())]
             yield pa.RecordBatch.from_arrays(columns, [*batch.schema.names[:-1], "lang_pred", "score"])
 
-    return kept.mapInArrow(run, out)
+    return kept.mapInArrow(tidied(run), out)
 
 
 def held_out(id_col: str = "doc_id") -> Column:

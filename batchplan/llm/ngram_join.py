@@ -18,8 +18,9 @@ d pieces or fewer gets its least n-grams as further keys, enough to meet any lin
 Links are then found without pairing whole groups. In a star round every class is compared with one
 leader of its blocks; what is linked is merged, and the next round only looks at blocks that
 still hold two components, with other leaders. After ``STARS`` rounds the blocks that are left go
-through R-trees, in tiles of about ``TILE`` classes, which return all pairs of unlike components that the
-bound allows. Each pair's texts are read once and compared exactly, a leader's before its members'.
+through R-trees, in tiles of about ``TILE`` classes, which return for each two components the ``FEW`` pairs
+that the bound gives most room; what is linked is merged again, and further rounds ask for ``MORE`` times
+as many until no tree has left a pair out. Each pair is compared exactly, a leader's text once for many.
 
 The result is exact up to collisions of 64-bit hashes.
 
@@ -43,8 +44,10 @@ from pyspark.sql import functions as F
 from batchplan.llm.components import connected_components
 from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, tidied, worker_cache, written, written_mark
 
-#: Classes in a tile of the last step, on average; rounds of stars before it.
-TILE, STARS = 512, 3
+#: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
+TILE, STARS = 512, 2
+#: Pairs that a tree gives for two components in its first round; times as many in each round after it.
+FEW, MORE = 4, 8
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.
@@ -255,7 +258,7 @@ def _sets(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
                 ["id", "n_shingles", "cls", "keys", "spare", "spare_next", "bit"],
             )
 
-    return docs.mapInArrow(tidied(run), "id long, n_shingles long, cls long, keys array<long>, spare int, spare_next int, bit int")
+    return docs.mapInArrow(tidied(run, "word_hashes"), "id long, n_shingles long, cls long, keys array<long>, spare int, spare_next int, bit int")
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -342,16 +345,35 @@ def _bounded(num: int, den: int):
     return run
 
 
-def tree_pairs(left: tuple[list, list, list[bytes]], right: tuple[list, list, list[bytes]] | None, at: Threshold) -> list[tuple[int, int]]:
-    """(lesser, greater) class of unlike components that the R-tree's bound allows, between two tiles or within one."""
+def tree_pairs(left: tuple[list, list, list[bytes]], right: tuple[list, list, list[bytes]] | None, at: Threshold, most: int) -> list[tuple[int, int, bool]]:
+    """(lesser, greater) class of unlike components that the R-tree's bound allows, between two tiles or within one.
+
+    Of each two components at most the ``most`` pairs with the most room under the bound; then the last is
+    marked as cut. (A link would join them, whichever pair has it.)
+    """
     own, right = right is None, left if right is None else right
     points = unpacked([*left[2], *([] if own else right[2])])
     probes = points[: len(left[0])]
     rows = probes if own else points[len(left[0]) :]
-    return [(min(x, y), max(x, y)) for i, j in near_pairs(rows, probes, at) if left[1][i] != right[1][j] and (x := left[0][i]) != (y := right[0][j]) and (j > i or not own)]
-
-
-def _trees(num: int, den: int):
+    near = np.array(near_pairs(rows, probes, at), np.int64).reshape(-1, 2)
+    names, roots = (np.array(left[k], np.int64) for k in (0, 1)), (np.array(right[k], np.int64) for k in (0, 1))
+    (lc, lr), (rc, rr) = names, roots
+    i, j = near[(lr[near[:, 0]] != rr[near[:, 1]]) & (lc[near[:, 0]] != rc[near[:, 1]]) & ((near[:, 1] > near[:, 0]) | (not own))].T
+    if not len(i):
+        return []
+    room = np.concatenate([np.minimum(probes[i[k : k + 4096]], rows[j[k : k + 4096]]).sum(1) / (probes[i[k : k + 4096]].sum(1) + rows[j[k : k + 4096]].sum(1)) for k in range(0, len(i), 4096)])
+    x, y = np.minimum(lr[i], rr[j]), np.maximum(lr[i], rr[j])
+    a, b = np.minimum(lc[i], rc[j]), np.maximum(lc[i], rc[j])
+    order = np.lexsort((b, a, -room, y, x))
+    x, y, a, b = x[order], y[order], a[order], b[order]
+    starts = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1]) | (y[1:] != y[:-1])]))
+    sizes = np.diff(np.concatenate([starts, [len(x)]]))
+    place, many = np.arange(len(x)) - np.repeat(starts, sizes), np.repeat(sizes, sizes)
+    kept = place < most
+    return list(zip(a[kept].tolist(), b[kept].tolist(), ((place == most - 1) & (many > most))[kept].tolist(), strict=True))
+
+
+def _trees(num: int, den: int, most: int):
     """Pairs of unlike components from rows (task, left, own, cls, component, point) sorted by task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -361,8 +383,8 @@ def _trees(num: int, den: int):
             sides = [[x[2:] for x in rows if x[0] == side] for side in (True, False)]
             left, right = (tuple(map(list, zip(*x, strict=True))) if x else None for x in sides)
             if left and (right or rows[0][1]) and len(set(left[1]) | set(right[1] if right else ())) > 1:
-                if found := tree_pairs(left, right, at):
-                    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*set(found), strict=True)], ["a", "b"])
+                if found := tree_pairs(left, right, at, most):
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*found, strict=True)], ["a", "b", "cut"])
 
         for batch in batches:
             for t, *row in zip(*[c.to_pylist() for c in batch.columns], strict=True):
@@ -417,7 +439,7 @@ def _linked(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int, labe
     leads = dealt.select("a", "part").distinct().join(texts, F.col("a") == F.col("cls")).select("a", "part", F.lit(False).alias("member"), "cls", "text")
     members = dealt.join(texts, F.col("b") == F.col("cls")).select("a", "part", F.lit(True).alias("member"), "cls", "text")
     rows = leads.unionByName(members).repartition("a", "part").sortWithinPartitions("a", "part", "member")
-    return written(rows.mapInArrow(tidied(_verify(n, num, den)), "a long, b long"), label)
+    return written(rows.mapInArrow(tidied(_verify(n, num, den), "word_hashes"), "a long, b long"), label)
 
 
 def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
@@ -430,35 +452,49 @@ def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
     return written(read.join(wanted, "id").select("cls", "text"), "ngram-texts")
 
 
+def _held(blocks: DataFrame, links: DataFrame | None) -> DataFrame:
+    """key, cls, component of the blocks that still hold two components."""
+    if links is None:
+        return blocks.withColumn("component", F.col("cls"))
+    roots = connected_components(links)
+    held = written(blocks.join(roots, F.col("cls") == F.col("node"), "left").select("key", "cls", F.coalesce("component", "cls").alias("component")), "ngram-held")
+    mixed = held.groupBy(F.col("key").alias("k")).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
+    return held.join(mixed, F.col("key") == F.col("k"), "left_semi")
+
+
+def _star_pairs(held: DataFrame, points: DataFrame, step: int, num: int, den: int) -> DataFrame:
+    """(a, b): a leader for each class, of those that its blocks have in this round and the bound allows."""
+    # first leaders that all blocks agree on, later others in each block
+    order = F.xxhash64("cls") if step == 0 else F.xxhash64(F.lit(step), "key", "cls")
+    stars = held.select("key", "cls", "component").repartition("key").sortWithinPartitions("key", order, "cls").mapInArrow(_star, "a long, b long").distinct()
+    near = stars.join(points.toDF("c", "p"), F.col("a") == F.col("c")).drop("c").join(points.toDF("c", "q"), F.col("b") == F.col("c")).select("a", "b", "p", "q")
+    return near.mapInArrow(_bounded(num, den), "a long, b long").groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
+
+
+def _tree_pairs(held: DataFrame, points: DataFrame, num: int, den: int, most: int) -> DataFrame:
+    """(a, b, cut): pairs of unlike components by R-trees, of tiles or of two tiles of a block."""
+    sizes = held.groupBy(F.col("key").alias("k")).agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
+    placed = held.join(points, F.col("cls") == F.col("c")).join(sizes, F.col("key") == F.col("k")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
+    spread = placed.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
+        F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
+    )
+    found = spread.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(_trees(num, den, most)), "a long, b long, cut boolean")
+    return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
+
+
 def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
     """Links (a, b) between classes: enough to join all that links join."""
-    links = None
-    for step in range(STARS + 1):
-        held = blocks.withColumn("component", F.col("cls"))
-        if links is not None:
-            roots = connected_components(links)
-            held = blocks.join(roots, F.col("cls") == F.col("node"), "left").select("key", "cls", F.coalesce("component", "cls").alias("component"))
-            held = written(held, "ngram-held")
-            # blocks of one component are done
-            mixed = held.groupBy(F.col("key").alias("k")).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
-            held = held.join(mixed, F.col("key") == F.col("k"), "left_semi")
+    links, step, most, done = None, 0, FEW, False
+    while not done:
+        held = _held(blocks, links)
         if step < STARS:
-            # first leaders that all blocks agree on, later others in each block
-            order = F.xxhash64("cls") if step == 0 else F.xxhash64(F.lit(step), "key", "cls")
-            stars = held.select("key", "cls", "component").repartition("key").sortWithinPartitions("key", order, "cls").mapInArrow(_star, "a long, b long").distinct()
-            near = stars.join(points.toDF("c", "p"), F.col("a") == F.col("c")).drop("c").join(points.toDF("c", "q"), F.col("b") == F.col("c")).select("a", "b", "p", "q")
-            pairs = near.mapInArrow(_bounded(num, den), "a long, b long").groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
+            pairs = written(_star_pairs(held, points, step, num, den), "ngram-pairs")
         else:
-            sizes = held.groupBy(F.col("key").alias("k")).agg(F.count("*").alias("m"))
-            placed = held.join(points, F.col("cls") == F.col("c")).join(sizes, F.col("key") == F.col("k"))
-            tiled = placed.withColumn("tiles", F.ceil(F.col("m") / TILE).cast("int")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
-            spread = tiled.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
-                F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
-            )
-            pairs = spread.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(_trees(num, den)), "a long, b long").distinct()
-        pairs = written(pairs, "ngram-pairs")
+            pairs = written(_tree_pairs(held, points, num, den, most), "ngram-pairs")
+            done, most = pairs.where("cut").isEmpty(), most * MORE
+            pairs = pairs.select("a", "b")
         found = _linked(pairs, texts, n, num, den, "ngram-links")
-        links = found if links is None else links.unionByName(found)
+        links, step = found if links is None else links.unionByName(found), step + 1
     return links
 
 
@@ -475,7 +511,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     blocks = _thinned(written(keyed.mapInArrow(tidied(_blocks), "key long, cls long, m int"), "ngram-blocks"), classes)
     near = written(blocks.select("cls").distinct(), "ngram-near")
     wanted = _wanted(texts, slim, near)
-    points = written(wanted.mapInArrow(tidied(_points(n)), "c long, point binary"), "ngram-points")
+    points = written(wanted.mapInArrow(tidied(_points(n), "word_hashes"), "c long, point binary"), "ngram-points")
     joined = connected_components(_class_links(blocks, points, wanted, n, num, den))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")

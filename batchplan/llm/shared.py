@@ -94,10 +94,16 @@ def _trim() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
-def tidied(run: Callable) -> Callable:
-    """run, which gives memory back at its end: idle Python workers stay beside the next stage's."""
+def tidied(run: Callable, keeps: str = "") -> Callable:
+    """run, which drops what other operators than ``keeps`` have cached, and gives memory back at its end.
+
+    Python workers serve one stage after another, and idle ones stay beside the next stage's.
+    """
 
     def tidy(batches):
+        if any(key[0] != keeps for key in _worker):
+            _worker.clear()
+            _trim()
         yield from run(batches)
         _trim()
 
