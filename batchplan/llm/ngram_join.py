@@ -33,7 +33,7 @@ each reported, by their own texts; an empty table gives an empty result.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -261,7 +261,7 @@ def _sets(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
     return docs.mapInArrow(tidied(run, "word_hashes"), "id long, n_shingles long, cls long, keys array<long>, spare int, spare_next int, bit int")
 
 
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def shared_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The rows (key, class, m) of keys that at least two classes have, from sorted rows, as a stream.
 
     m is the number of the key's classes, and ``COUNTED`` for all of a key that has more.
@@ -299,18 +299,23 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _thinned(blocks: DataFrame, classes: DataFrame) -> DataFrame:
-    """key, cls of the blocks that classes do not leave, where two classes at least remain; of equal blocks one."""
+    """key, cls of the blocks that classes do not leave."""
     sized = blocks.join(classes.withColumnRenamed("cls", "c"), F.col("cls") == F.col("c"))
     band = (F.col("key").bitwiseAND(F.lit(1)) == F.col("bit")).alias("own")
     # a class has no more blocks than its text has n-grams
     place = F.row_number().over(Window.partitionBy("cls", "own").orderBy(F.desc("m"), F.desc("key")))
     stays = sized.select("key", "cls", band, "m", "spare", "spare_next").withColumn("place", place)
-    stays = written(stays.where(F.col("place") > F.when(F.col("own"), F.col("spare")).otherwise(F.col("spare_next"))).select("key", "cls"), "ngram-thin")
-    # copies share most of their pieces: blocks of the same classes, by their number and two sums of hashes
-    name = F.xxhash64("cls")
-    mark = [F.count("*").alias("m"), F.sum(name.cast("decimal(20,0)")).alias("s"), F.bit_xor(F.xxhash64(F.lit(9), "cls")).alias("x")]
-    still = stays.groupBy("key").agg(*mark).where("m > 1").groupBy("m", "s", "x").agg(F.min("key").alias("k"))
-    return written(stays.join(still, F.col("key") == F.col("k")).select("key", "cls"), "ngram-thinned")
+    return written(stays.where(F.col("place") > F.when(F.col("own"), F.col("spare")).otherwise(F.col("spare_next"))).select("key", "cls"), "blocks-left")
+
+
+def unlike_blocks(blocks: DataFrame) -> DataFrame:
+    """key, cls of the blocks of two classes or more, one of those that have the same classes.
+
+    Copies share most of their keys. Blocks are told apart by their number of classes and two sums of hashes.
+    """
+    mark = [F.count("*").alias("m"), F.sum(F.xxhash64("cls").cast("decimal(20,0)")).alias("s"), F.bit_xor(F.xxhash64(F.lit(9), "cls")).alias("x")]
+    still = blocks.groupBy("key").agg(*mark).where("m > 1").groupBy("m", "s", "x").agg(F.min("key").alias("k"))
+    return written(blocks.join(still, F.col("key") == F.col("k")).select("key", "cls"), "blocks")
 
 
 def _star(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -432,14 +437,15 @@ def _points(n: int):
     return run
 
 
-def _linked(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int, label: str) -> DataFrame:
-    """The pairs (a, b) that are links; a's text goes to a task once for about ``MEMBERS`` members."""
+def verified(pairs: DataFrame, texts: DataFrame, verify: Callable) -> DataFrame:
+    """The pairs (a, b) that ``verify`` keeps of rows (a, part, member, cls, text); a's text goes to a task once for
+    about ``MEMBERS`` members, and before them."""
     many = pairs.groupBy(F.col("a").alias("lead")).agg(F.ceil(F.count("*") / MEMBERS).alias("parts"))
     dealt = pairs.join(many, F.col("a") == F.col("lead")).select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).alias("part"))
     leads = dealt.select("a", "part").distinct().join(texts, F.col("a") == F.col("cls")).select("a", "part", F.lit(False).alias("member"), "cls", "text")
     members = dealt.join(texts, F.col("b") == F.col("cls")).select("a", "part", F.lit(True).alias("member"), "cls", "text")
     rows = leads.unionByName(members).repartition("a", "part").sortWithinPartitions("a", "part", "member")
-    return written(rows.mapInArrow(tidied(_verify(n, num, den), "word_hashes"), "a long, b long"), label)
+    return written(rows.mapInArrow(verify, "a long, b long"), "links")
 
 
 def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
@@ -482,9 +488,13 @@ def _tree_pairs(held: DataFrame, points: DataFrame, num: int, den: int, most: in
     return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
 
 
-def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """Links (a, b) between classes: enough to join all that links join."""
-    links, step, most, done = None, 0, FEW, False
+def class_links(blocks: DataFrame, points: DataFrame, num: int, den: int, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Links (a, b) between classes that share a block: enough to join all that links join.
+
+    points: c, point of each class; links have points whose sum of minima is at least num / (num + den) of their sums.
+    verify: the links of a table of pairs (a, b).
+    """
+    links, tried, step, most, done = None, None, 0, FEW, False
     while not done:
         held = _held(blocks, links)
         if step < STARS:
@@ -492,8 +502,10 @@ def _class_links(blocks: DataFrame, points: DataFrame, texts: DataFrame, n: int,
         else:
             pairs = written(_tree_pairs(held, points, num, den, most), "ngram-pairs")
             done, most = pairs.where("cut").isEmpty(), most * MORE
-            pairs = pairs.select("a", "b")
-        found = _linked(pairs, texts, n, num, den, "ngram-links")
+            pairs, before = pairs.select("a", "b"), tried
+            tried = pairs  # it has all of those before it, but for components that are joined by now
+            pairs = pairs if before is None else pairs.join(before, ["a", "b"], "left_anti")
+        found = verify(pairs)
         links, step = found if links is None else links.unionByName(found), step + 1
     return links
 
@@ -508,14 +520,15 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     slim = sets.select("id", "n_shingles", "cls")
     classes = sets.where("bit IS NOT NULL").groupBy("cls").agg(*[F.min(c).alias(c) for c in ("spare", "spare_next", "bit")])
     keyed = sets.select(F.explode("keys").alias("key"), "cls").repartition("key").sortWithinPartitions("key", "cls")
-    blocks = _thinned(written(keyed.mapInArrow(tidied(_blocks), "key long, cls long, m int"), "ngram-blocks"), classes)
+    blocks = unlike_blocks(_thinned(written(keyed.mapInArrow(tidied(shared_blocks), "key long, cls long, m int"), "ngram-blocks"), classes))
     near = written(blocks.select("cls").distinct(), "ngram-near")
     wanted = _wanted(texts, slim, near)
     points = written(wanted.mapInArrow(tidied(_points(n), "word_hashes"), "c long, point binary"), "ngram-points")
-    joined = connected_components(_class_links(blocks, points, wanted, n, num, den))
+    verify = tidied(_verify(n, num, den), "word_hashes")
+    joined = connected_components(class_links(blocks, points, num, den, lambda pairs: verified(pairs, wanted, verify)))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
-    release_since(spark, mark, keep=rooted.unionByName(sets.select(F.col("cls"), F.col("id").alias("least"), F.col("id").alias("root"))))
+    release_since(spark, mark, keep=[rooted, sets])
     smallest = rooted.groupBy(F.col("root").alias("r")).agg(F.min("least").alias("component_id"))
     known = rooted.join(smallest, F.col("root") == F.col("r")).select(F.col("cls").alias("c"), "component_id")
     whole = slim.join(known, F.col("cls") == F.col("c"), "left")

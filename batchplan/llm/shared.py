@@ -9,7 +9,7 @@ import os
 import re
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 from typing import TypeVar
 
 import pyarrow as pa
@@ -61,10 +61,10 @@ def written_mark() -> int:
     return len(_made)
 
 
-def release_since(spark: SparkSession, mark: int = 0, keep: DataFrame | None = None) -> None:
-    """Delete the tables written since ``mark``, but for what ``keep`` reads; nothing may read the others any more."""
+def release_since(spark: SparkSession, mark: int = 0, keep: Iterable[DataFrame] = ()) -> None:
+    """Delete the tables written since ``mark``, but for those that ``keep`` read; nothing may read the others any more."""
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    spared = keep.inputFiles() if keep is not None else []
+    spared = [f for df in keep for f in df.inputFiles()]
     for made in _made[mark:]:
         if not any(made.rsplit("/", 1)[1] in f for f in spared):
             path = jvm.org.apache.hadoop.fs.Path(made)

@@ -61,5 +61,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         docs = stage(spark, docs, sf_dir)
         if stage is not STAGES[-1][1]:
             docs = written(docs, name)
-            release_since(spark, mark, keep=docs)
+            release_since(spark, mark, keep=[docs])
     return docs

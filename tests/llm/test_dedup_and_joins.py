@@ -169,7 +169,7 @@ def test_blocks_as_a_stream(monkeypatch, size):
     rng = random.Random(4)
     rows = sorted((k, c) for k in range(12) for c in range(rng.choice((1, 1, 2, 4, 5, 11))) for _ in range(rng.choice((1, 1, 3))))
     batches = [pa.RecordBatch.from_arrays([pa.array([k for k, _ in part], pa.int64()), pa.array([c for _, c in part], pa.int64())], ["key", "cls"]) for part in (rows[a : a + size] for a in range(0, len(rows), size))]
-    got = [tuple(r.values()) for b in ngram_join._blocks(iter(batches)) for r in b.to_pylist()]
+    got = [tuple(r.values()) for b in ngram_join.shared_blocks(iter(batches)) for r in b.to_pylist()]
     many = {k: len({c for j, c in rows if j == k}) for k, _ in rows}
     assert got == [(k, c, min(many[k], 4)) for k, c in sorted(set(rows)) if many[k] > 1]
 
