@@ -34,6 +34,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterator
+from typing import Protocol
 
 import numpy as np
 import pyarrow as pa
@@ -47,7 +48,7 @@ from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, tidi
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
 #: Pairs that a tree gives for two components in its first round; times as many in each round after it.
-FEW, MORE = 4, 8
+FEW, MORE = 8, 64
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.
@@ -112,6 +113,15 @@ def class_of(s: np.ndarray) -> int | None:
     return int(name.view(np.int64)[0])
 
 
+class Bound(Protocol):
+    def need(self, both):
+        """The least sum of minima of two points of a link whose sums add up to ``both`` (a number or an array)."""
+
+
+    def exactly(self, x, y):
+        """The same for points whose sums are x and y."""
+
+
 class Threshold:
     """Jaccard similarity of at least num / den, in integers."""
 
@@ -135,6 +145,9 @@ class Threshold:
         """The least overlap of linked sets whose sizes add up to ``both``."""
         return -(-self.num * both // (self.num + self.den))
 
+    def exactly(self, x, y):
+        return self.need(x + y)
+
 
 _cuts: dict[int, np.ndarray] = {}
 
@@ -224,7 +237,7 @@ class CountTree:
         y, found = points[self.rows], []
         for k in range(0, len(x), self.PROBES):
             part = x[k : k + self.PROBES]
-            i, j = np.nonzero(np.minimum(part[:, None], y[None]).sum(2) >= at.need(size[k : k + self.PROBES, None] + y.sum(1)[None]))
+            i, j = np.nonzero(np.minimum(part[:, None], y[None]).sum(2) >= at.exactly(size[k : k + self.PROBES, None], y.sum(1)[None]))
             found.append(np.stack([which[k + i], self.rows[j]], 1))
         return found
 
@@ -335,16 +348,15 @@ def _star(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
 
 
-def _bounded(num: int, den: int):
+def _bounded(at: Bound):
     """Pairs (a, b) whose points p, q allow a link."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = Threshold(num, den)
         for batch in batches:
             ok = []
             for p, q in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
                 x = unpacked([p, q])
-                ok.append(bool(np.minimum(x[0], x[1]).sum() >= at.need(int(x.sum()))))
+                ok.append(bool(np.minimum(x[0], x[1]).sum() >= at.exactly(int(x[0].sum()), int(x[1].sum()))))
             yield batch.select([0, 1]).filter(pa.array(ok, pa.bool_()))
 
     return run
@@ -378,11 +390,11 @@ def tree_pairs(left: tuple[list, list, list[bytes]], right: tuple[list, list, li
     return list(zip(a[kept].tolist(), b[kept].tolist(), ((place == most - 1) & (many > most))[kept].tolist(), strict=True))
 
 
-def _trees(num: int, den: int, most: int):
+def _trees(at: Bound, most: int):
     """Pairs of unlike components from rows (task, left, own, cls, component, point) sorted by task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, task, rows = Threshold(num, den), None, []
+        task, rows = None, []
 
         def flush() -> Iterator[pa.RecordBatch]:
             sides = [[x[2:] for x in rows if x[0] == side] for side in (True, False)]
@@ -468,39 +480,39 @@ def _held(blocks: DataFrame, links: DataFrame | None) -> DataFrame:
     return held.join(mixed, F.col("key") == F.col("k"), "left_semi")
 
 
-def _star_pairs(held: DataFrame, points: DataFrame, step: int, num: int, den: int) -> DataFrame:
+def _star_pairs(held: DataFrame, points: DataFrame, step: int, at: Bound) -> DataFrame:
     """(a, b): a leader for each class, of those that its blocks have in this round and the bound allows."""
     # first leaders that all blocks agree on, later others in each block
     order = F.xxhash64("cls") if step == 0 else F.xxhash64(F.lit(step), "key", "cls")
     stars = held.select("key", "cls", "component").repartition("key").sortWithinPartitions("key", order, "cls").mapInArrow(_star, "a long, b long").distinct()
     near = stars.join(points.toDF("c", "p"), F.col("a") == F.col("c")).drop("c").join(points.toDF("c", "q"), F.col("b") == F.col("c")).select("a", "b", "p", "q")
-    return near.mapInArrow(_bounded(num, den), "a long, b long").groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
+    return near.mapInArrow(_bounded(at), "a long, b long").groupBy("b").agg(F.min_by("a", F.xxhash64("a", F.lit(step))).alias("a")).select("a", "b")
 
 
-def _tree_pairs(held: DataFrame, points: DataFrame, num: int, den: int, most: int) -> DataFrame:
+def _tree_pairs(held: DataFrame, points: DataFrame, at: Bound, most: int) -> DataFrame:
     """(a, b, cut): pairs of unlike components by R-trees, of tiles or of two tiles of a block."""
     sizes = held.groupBy(F.col("key").alias("k")).agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
     placed = held.join(points, F.col("cls") == F.col("c")).join(sizes, F.col("key") == F.col("k")).withColumn("t", F.pmod(F.xxhash64(F.lit(7), "cls"), F.col("tiles")).cast("int"))
     spread = placed.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select(
         F.xxhash64("key", F.least("t", "o"), F.greatest("t", "o")).alias("task"), (F.col("t") <= F.col("o")).alias("left"), (F.col("t") == F.col("o")).alias("own"), "cls", "component", "point",
     )
-    found = spread.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(_trees(num, den, most)), "a long, b long, cut boolean")
+    found = spread.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(_trees(at, most)), "a long, b long, cut boolean")
     return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
 
 
-def class_links(blocks: DataFrame, points: DataFrame, num: int, den: int, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def class_links(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """Links (a, b) between classes that share a block: enough to join all that links join.
 
-    points: c, point of each class; links have points whose sum of minima is at least num / (num + den) of their sums.
+    points: c, point of each class. at: the least sum of minima that the points of a link have.
     verify: the links of a table of pairs (a, b).
     """
     links, tried, step, most, done = None, None, 0, FEW, False
     while not done:
         held = _held(blocks, links)
         if step < STARS:
-            pairs = written(_star_pairs(held, points, step, num, den), "ngram-pairs")
+            pairs = written(_star_pairs(held, points, step, at), "ngram-pairs")
         else:
-            pairs = written(_tree_pairs(held, points, num, den, most), "ngram-pairs")
+            pairs = written(_tree_pairs(held, points, at, most), "ngram-pairs")
             done, most = pairs.where("cut").isEmpty(), most * MORE
             pairs, before = pairs.select("a", "b"), tried
             tried = pairs  # it has all of those before it, but for components that are joined by now
@@ -525,7 +537,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     wanted = _wanted(texts, slim, near)
     points = written(wanted.mapInArrow(tidied(_points(n), "word_hashes"), "c long, point binary"), "ngram-points")
     verify = tidied(_verify(n, num, den), "word_hashes")
-    joined = connected_components(class_links(blocks, points, num, den, lambda pairs: verified(pairs, wanted, verify)))
+    joined = connected_components(class_links(blocks, points, Threshold(num, den), lambda pairs: verified(pairs, wanted, verify)))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
     release_since(spark, mark, keep=[rooted, sets])
