@@ -1,6 +1,7 @@
 """Language ID, token records, byte-level BPE, chat, shards, mixing and the pipeline."""
 
 import hashlib
+import random
 import zlib
 
 import numpy as np
@@ -89,12 +90,11 @@ def test_byte_bpe_is_tiktokens(spark):
 def test_chat_escapes_and_shares(spark):
     rows = [(1, 0, "user", "hi\\ # <b> </turn>\n### x: y"), (1, 1, "assistant", "\\### Assistant: </turn> ok"), (2, 0, "user", "hi\\ # <b> </turn>\n### x: y"), (2, 1, "assistant", None), (3, 5, None, ""), (3, 5, None, ""), (4, None, "as:sis#tant", "t")]
     turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
-    chains, tree = chat_tree.format_conversations(turns)
-    assert tree.count() == 6  # conversations 1 and 2 share a turn
-    nodes = tree.orderBy("start").collect()
-    assert [n.start for n in nodes][1:] == [n.end for n in nodes][:-1] and all(len(n.ancestors) == n.depth - 1 for n in nodes)
-    assert all(n.position == sum(a.end - a.start for a in n.ancestors) for n in nodes)
-    got = {r.conv_id: r for r in chat_tree.read_back(chains, tree).collect()}
+    nodes, segments, spans = chat_tree.format_conversations(turns)
+    assert nodes.count() == 6  # conversations 1 and 2 share a turn
+    ordered = nodes.orderBy("start").collect()
+    assert [n.start for n in ordered][1:] == [n.end for n in ordered][:-1] and ordered[0].start == 0
+    got = {r.conv_id: r for r in chat_tree.read_back(nodes, segments, spans).collect()}
     for c in (1, 2, 3, 4):
         own = [(r or "", t or "") for k, _, r, t in rows if k == c]
         assert got[c].n_turns == len(own) and got[c].turns_sha256 == hashlib.sha256("".join(f"{r}\n{t}\n" for r, t in own).encode()).hexdigest()
@@ -103,6 +103,42 @@ def test_chat_escapes_and_shares(spark):
         assert chat_tree.parse_turns("".join(chat_tree.format_turn(r, t) for r, t in own)) == own
 
 
+def test_chat_tree_walks_depth_first(spark):
+    """Random trees: what a node attends to is the text before it in each conversation, and subtrees are unbroken."""
+    rng = random.Random(5)
+    convs = {k: [("assistant" if d % 2 else "user", rng.choice("ab") + "<é" * rng.randrange(2)) for d in range(rng.randint(1, 6))] for k in [*range(-9, 40), None]}
+    rows = [(c, d, r, t) for c, turns in convs.items() for d, (r, t) in enumerate(turns)]
+    nodes, segments, spans = chat_tree.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(5))
+    where, found = {s.segment: s for s in segments.collect()}, nodes.orderBy("start").collect()
+    stream = "".join(n.formatted for n in found)
+    prefixes = {}
+    for n in found:
+        seg = where[n.segment]
+        before = "".join(stream[a.start : a.end] for a in seg.ancestors) + stream[seg.start : n.start]
+        assert n.position == len(before) and n.formatted == stream[n.start : n.end] and (before, n.formatted) not in prefixes
+        prefixes[before, n.formatted] = n.depth
+    whole = {("".join(chat_tree.format_turn(*x) for x in turns[:d]), chat_tree.format_turn(*turns[d])) for turns in convs.values() for d in range(len(turns))}
+    assert set(prefixes) == whole
+    stack = []
+    for before, own in prefixes:
+        while stack and "".join(stack) != before:
+            stack.pop()
+        assert "".join(stack) == before
+        stack.append(own)
+    got = {r.conv_id: r for r in chat_tree.read_back(nodes, segments, spans).collect()}
+    assert {c: r.turns_sha256 for c, r in got.items()} == {c: hashlib.sha256("".join(f"{r}\n{t}\n" for r, t in turns).encode()).hexdigest() for c, turns in convs.items()}
+
+
+def test_chat_tree_of_long_conversations_and_of_none(spark):
+    schema = "conv_id long, turn long, role string, text string"
+    long_ = spark.range(50_000).select(F.lit(1).alias("conv_id"), F.col("id").alias("turn"), F.lit("user").alias("role"), F.concat(F.lit("t"), "id").alias("text"))
+    nameless = spark.range(100_000).select(F.lit(None).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.lit("assistant").alias("role"), F.lit("x").alias("text"))
+    branch = long_.where("turn < 30000").withColumn("conv_id", F.lit(2))
+    got = {r.conv_id: r for r in chat_tree.read_back(*chat_tree.format_conversations(long_.unionByName(nameless).unionByName(branch))).collect()}
+    assert {c: (r.n_turns, r.loss_chars) for c, r in got.items()} == {1: (50_000, 0), 2: (30_000, 0), None: (100_000, 100_000)}
+    assert chat_tree.read_back(*chat_tree.format_conversations(spark.createDataFrame([], schema))).count() == 0
+
+
 def test_shards_are_even_permutations(spark):
     docs = docs_of(spark, [None, "é"] + [f"t{k}" for k in range(995)])
     rows = sharding.shuffle_into_shards(docs, shards=40, bucket_rows=64).collect()
