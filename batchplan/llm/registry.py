@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from batchplan.llm import byte_bpe, chat_tree, exact_dedup, fuzzy_lines, language_id, mixing, ngram_join, sharding, token_records, vector_links
-from batchplan.llm.shared import table, text_or_empty
+from batchplan.llm.shared import new_path, table, text_or_empty
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -30,7 +30,8 @@ def op6_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     shuffled = sharding.shuffle_into_shards(table(spark, sf_dir, "documents"), shards=40)
-    return shuffled.select(
+    shards = sharding.write_shards(shuffled, new_path(spark, "shards"))
+    return shards.select(
         "doc_id",
         sharding.record_size().alias("size"),
         F.crc32(F.encode(text_or_empty(), "UTF-8")).alias("text_crc32"),

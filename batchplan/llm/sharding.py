@@ -9,14 +9,19 @@ order are the shards (law ``rows``: their row counts differ by one at most).
 The walk draws its numbers from a hash of (seed, bucket, step): the same input gives the same
 shards on any cluster and after any lost executor.
 
-Defined results: a null text has no bytes; null ids share one hash; rows that repeat an id are
-shuffled like others; an empty table gives an empty result; other columns are carried along.
+Defined results: a null text has no bytes; rows without an id and rows that repeat one are placed by
+all their columns, so the result is the same but for rows that are alike in every column, which share
+a bucket; an empty table gives an empty result; other columns are carried along, but for columns
+named shard and slot, which the result's own replace.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Rows and bytes of text that a bucket holds on average, at most.
 BUCKET_ROWS = 512
@@ -59,11 +64,14 @@ def shuffle_into_shards(
     spark = docs.sparkSession
     rows, size = docs.agg(F.count("*"), F.coalesce(F.sum(record_size(text_col)), F.lit(0))).first()
     buckets = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows // bucket_rows), -(-size // bucket_bytes))
-    place = F.xxhash64(F.lit(seed), F.col(id_col))
+    docs = docs.drop(*[c for c in docs.columns if c.lower() in ("shard", "slot")])
+    # all that Spark can hash, so that rows of one id (or of none) spread, and ties are rows alike
+    hashed = [F.col(f"`{f.name}`") for f in docs.schema if not re.search("map<|variant", f.dataType.simpleString())]
+    place = F.xxhash64(F.lit(seed), F.col(id_col), *hashed)
     bucket = F.pmod(place, F.lit(buckets)).cast("long")
     starts = _bucket_starts(docs.groupBy(bucket.alias("bucket")).agg(F.count("*").alias("n")))
 
-    record = F.struct(F.xxhash64(F.lit(seed + 1), F.col(id_col)).alias("h"), F.col(id_col).alias("id"), F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)]).alias("row"))
+    record = F.struct(F.xxhash64(F.lit(seed + 1), F.col(id_col), *hashed).alias("h"), F.col(id_col).alias("id"), F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(docs.columns)]).alias("row"))
     filled = docs.select(bucket.alias("bucket"), record.alias("rec")).repartitionByRange("bucket").groupBy("bucket").agg(F.collect_list("rec").alias("recs"))
     in_order = F.array_sort(
         "recs",
@@ -78,6 +86,12 @@ def shuffle_into_shards(
     return placed.withColumn("shard", shard).select(*cols, F.col("shard").alias("shard"), (F.col("place") - first).alias("slot"))
 
 
-def write_shards(shuffled: DataFrame, path: str) -> None:
-    """One folder for each shard; a task holds a slice of the shuffled order, so it writes few files."""
-    shuffled.write.partitionBy("shard").parquet(path)
+def write_shards(shuffled: DataFrame, path: str) -> DataFrame:
+    """One folder for each shard, rows in the order of their slots in each file; read again.
+
+    A task holds a slice of the shuffled order, so it writes to few folders.
+    """
+    kind = shuffled.schema["shard"]
+    shuffled.sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    schema = T.StructType([*[f for f in shuffled.schema if f.name != "shard"], kind])
+    return shuffled.sparkSession.read.schema(schema).parquet(path)

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from batchplan.llm.components import connected_components
-from batchplan.llm.shared import bound_arrow, written
+from batchplan.llm.shared import bound_arrow, release_since, tidied, written, written_mark
 
 #: Classes that the centroids are fitted on at most; classes in a tile, on average.
 SAMPLE, TILE = 8192, 384
@@ -93,12 +93,26 @@ class ProductQuantiser:
         return np.sqrt(total)
 
 
-def _unit(vectors: pa.Array) -> np.ndarray:
-    x = np.stack([np.asarray(v.as_py(), np.float64) for v in vectors])
-    x /= np.abs(x).max(1, keepdims=True)  # keeps squares finite
+def _scaled(x: np.ndarray) -> np.ndarray:
+    """Rows times powers of two, which is exact, so that their squares are finite and not all zero."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(1))[1][:, None])
+
+
+def _unit(x: np.ndarray) -> np.ndarray:
+    x = _scaled(x)
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
+def _packed(x: np.ndarray) -> list[bytes]:
+    """Rows as bytes: single precision where it holds them exactly."""
+    kind = 4 if (np.abs(x) < 1e38).all() and (x.astype("<f4") == x).all() else 8
+    return [bytes([kind]) + row.tobytes() for row in x.astype(f"<f{kind}")]
+
+
+def _unpacked(rows: list[bytes]) -> np.ndarray:
+    return np.stack([np.frombuffer(row, f"<f{row[0]}", offset=1) for row in rows]).astype(np.float64)
+
+
 def _links(left: dict, right: dict | None, pq: ProductQuantiser, least: float, r: float) -> tuple[dict, list]:
     """Vectors linked to each class, and a spanning forest, of one tile or of two."""
     own, right = right is None, left if right is None else right
@@ -113,9 +127,7 @@ def _links(left: dict, right: dict | None, pq: ProductQuantiser, least: float, r
     codes, lost = np.frombuffer(b"".join(right["codes"]), np.uint8).reshape(len(right["cls"]), -1), np.array(right["lost"])
     near = pq.table_distances(left["x"], right["list"][0], codes) <= r + SLACK + lost[None]
     i, j = np.nonzero(np.triu(near | near.T, 1) if own else near)
-    raw_left, raw_right = left["raw"], right["raw"]
-    dots = np.einsum("ij,ij->i", raw_left[i], raw_right[j])
-    cosine = dots / (np.sqrt((raw_left[i] ** 2).sum(1)) * np.sqrt((raw_right[j] ** 2).sum(1)))
+    cosine = np.concatenate([np.zeros(0)] + [np.einsum("ij,ij->i", left["raw"][p], right["raw"][q]) / (left["norm"][p] * right["norm"][q]) for k in range(0, len(i), 65536) for p, q in [(i[k : k + 65536], j[k : k + 65536])]])
     for a, b in zip(i[cosine >= least].tolist(), j[cosine >= least].tolist(), strict=True):
         c, d = left["cls"][a], right["cls"][b]
         counts[c] = counts.get(c, 0) + right["mult"][b]
@@ -130,7 +142,7 @@ def near_vectors(
     vectors: DataFrame, least: float = 0.98, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", lists: int | None = None
 ) -> DataFrame:
     """One row for each vector: id, n_links, component_id, kept."""
-    spark = vectors.sparkSession
+    spark, mark = vectors.sparkSession, written_mark()
     bound_arrow(spark)
     r = float(np.sqrt(2 - 2 * least))
     vec = F.col("vec")
@@ -147,8 +159,7 @@ def near_vectors(
     for width in widths:  # vectors of one table have one length; others are compared within theirs
         drawn = classes.where(F.size("vec") == width).orderBy(F.xxhash64(F.lit(3), "cls")).limit(SAMPLE).select("vec")
         sample = np.array([row[0] for row in drawn.collect()])
-        sample /= np.abs(sample).max(1, keepdims=True)
-        sample /= np.sqrt((sample**2).sum(1, keepdims=True))
+        sample = _unit(sample)
         models[width] = ProductQuantiser(sample, lists or int(np.clip(np.sqrt(n / 4), 1, 1024)))
     sent = spark.sparkContext.broadcast(models)
 
@@ -162,17 +173,18 @@ def near_vectors(
                 part = batch.take(pa.array(rows))
                 if pq is None:  # a rare length: one list for all of it
                     pq = ProductQuantiser(np.ones((1, width)) / np.sqrt(width), 1)
-                x = _unit(part.column(3))
+                raw = part.column(3).flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
+                x = _unit(raw)
                 own, codes, lost = pq.encode(x)
                 look = pq.probes(x, own, r + SLACK)
                 # a pair is found from the list of smaller number
                 look = [np.flatnonzero(row[a + 1 :]) + a + 1 for row, a in zip(look, own, strict=True)]
                 yield pa.RecordBatch.from_arrays(
-                    [*part.columns, pa.array(own, pa.int32()), pa.array([c.tobytes() for c in codes]), pa.array(lost), pa.array([p.astype(np.int32) for p in look], pa.list_(pa.int32()))],
+                    [*part.columns[:3], pa.array(_packed(raw), pa.binary()), pa.array(own, pa.int32()), pa.array([c.tobytes() for c in codes]), pa.array(lost), pa.array([p.astype(np.int32) for p in look], pa.list_(pa.int32()))],
                     ["cls", "mult", "part", "vec", "list", "codes", "lost", "probes"],
                 )
 
-    indexed = written(classes.mapInArrow(index, "cls long, mult long, part long, vec array<double>, list int, codes binary, lost double, probes array<int>"), "pq-index")
+    indexed = written(classes.mapInArrow(tidied(index), "cls long, mult long, part long, vec binary, list int, codes binary, lost double, probes array<int>"), "pq-index")
     tile = lambda seed, tiles: F.pmod(F.xxhash64(F.lit(seed), "cls"), tiles).cast("int")
     entry = [F.col(c) for c in ("cls", "mult", "vec", "list", "codes", "lost")]
     residents = indexed.groupBy("part", "list").agg(F.ceil(F.count("*") / TILE).cast("int").alias("tiles"))
@@ -196,9 +208,9 @@ def near_vectors(
 
     def side(rows: list[tuple]) -> dict:
         found = dict(zip(("cls", "mult", "vec", "list", "codes", "lost"), zip(*rows, strict=True), strict=True))
-        found["raw"] = np.array(found.pop("vec"))
-        scaled = found["raw"] / np.abs(found["raw"]).max(1, keepdims=True)
-        found["x"] = scaled / np.sqrt((scaled**2).sum(1, keepdims=True))
+        found["raw"] = _scaled(_unpacked(found.pop("vec")))
+        found["norm"] = np.sqrt((found["raw"] ** 2).sum(1))
+        found["x"] = found["raw"] / found["norm"][:, None]
         return found
 
     def flush(rows: list[tuple]) -> Iterator[pa.RecordBatch]:
@@ -226,12 +238,13 @@ def near_vectors(
         if rows:
             yield from flush(rows)
 
-    found = written(work.repartition("task").sortWithinPartitions("task").mapInArrow(run, "a long, b long, n long"), "pq-links")
+    found = written(work.repartition("task").sortWithinPartitions("task").mapInArrow(tidied(run), "a long, b long, n long"), "pq-links")
     degree = found.where("b IS NULL").groupBy(F.col("a").alias("cls")).agg(F.sum("n").alias("n"))
     joined = connected_components(found.where("b IS NOT NULL").select("a", "b"))
     named = classes.select("cls", "mult").join(degree, "cls", "left").join(joined, F.col("cls") == F.col("node"), "left")
     named = named.select(F.col("cls").alias("c"), (F.col("mult") - 1 + F.coalesce("n", F.lit(0))).alias("n_links"), F.coalesce("component", "cls").alias("root"))
     rooted = written(slim.join(named, F.col("cls") == F.col("c"), "left").select("id", "root", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links")), "pq-roots")
+    release_since(spark, mark, keep=[rooted])
     smallest = rooted.where("root IS NOT NULL").groupBy(F.col("root").alias("r")).agg(F.min("id").alias("least_id"))
     whole = rooted.join(smallest, F.col("root") == F.col("r"), "left").withColumn("component_id", F.coalesce("least_id", "id"))
     return whole.select(F.col("id").alias(id_col), "n_links", "component_id", F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)).alias("kept"))

@@ -270,3 +270,10 @@ def test_vectors_against_brute_force(spark, monkeypatch):
     want |= {k: (0, k, True) for k in range(400, 407)}
     assert link.sum() > 500 and got == want
     assert vector_links.near_vectors(frame.where("1 = 0")).count() == 0
+
+
+def test_vectors_of_great_and_small_numbers_and_of_other_lengths(spark):
+    rows = [(1, [1e200, 1e200], 1), (2, [1e200, 1e200 * (1 + 1e-9)], 1), (3, [1e-200, 1e-200], 1), (4, [1.0, -1.0], 1), (5, [1.0, 1.0, 1.0], 1), (6, [2.0, 2.0, 2.0], 1), (6, [2.0, 2.0, 2.0], 2), (7, [3.0], 1)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    got = sorted((r.vec_id, r.n_links, r.component_id) for r in vector_links.near_vectors(frame).collect())
+    assert got == [(1, 2, 1), (2, 2, 1), (3, 2, 1), (4, 0, 4), (5, 1, 5), (6, 0, 6), (6, 1, 5), (7, 0, 7)]

@@ -152,6 +152,20 @@ def test_shards_are_even_permutations(spark):
     assert sharding.shuffle_into_shards(docs.where("1 = 0")).count() == 0
 
 
+def test_shards_of_repeated_and_missing_ids(spark, tmp_path):
+    """Rows of one id or of none spread over the buckets, in any partitioning alike; own shard and slot columns are replaced."""
+    rows = [(7 if k % 3 else None, f"t{k}", k % 5, "x") for k in range(3000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, shard int, other string")
+    first = sharding.shuffle_into_shards(docs.repartition(3), shards=7, bucket_rows=64)
+    written = sharding.write_shards(first, f"file://{tmp_path}/shards")
+    assert sorted(first.columns) == sorted(written.columns) == ["doc_id", "other", "shard", "slot", "text"]
+    places = lambda df: {r.text: (r.doc_id, r.shard, r.slot) for r in df.collect()}
+    found = places(written)
+    assert found == places(first) == places(sharding.shuffle_into_shards(docs.repartition(7), shards=7, bucket_rows=64))
+    assert all(found[t][0] == i for i, t, _, _ in rows)
+    assert {s: sorted(v[2] for v in found.values() if v[1] == s) == list(range(sum(v[1] == s for v in found.values()))) for s in range(7)} == dict.fromkeys(range(7), True)
+
+
 def test_fisher_yates_permutes(spark):
     row = spark.range(1).select(sharding.fisher_yates(F.lit(200), 5, F.lit(1)).alias("a"), sharding.fisher_yates(F.lit(200), 5, F.lit(2)).alias("b")).first()
     assert sorted(row.a) == sorted(row.b) == list(range(1, 201)) and row.a != row.b and row.a != sorted(row.a)
