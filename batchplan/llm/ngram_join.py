@@ -43,7 +43,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from batchplan.llm.components import connected_components
-from batchplan.llm.shared import bound_arrow, release_since, text_or_empty, tidied, worker_cache, written, written_mark
+from batchplan.llm.shared import bound_arrow, forget_shuffles, release_since, text_or_empty, tidied, worker_cache, written, written_mark
 
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
@@ -500,13 +500,13 @@ def _tree_pairs(held: DataFrame, points: DataFrame, at: Bound, most: int) -> Dat
     return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
 
 
-def class_links(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def class_links(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame], few: int = FEW) -> DataFrame:
     """Links (a, b) between classes that share a block: enough to join all that links join.
 
     points: c, point of each class. at: the least sum of minima that the points of a link have.
     verify: the links of a table of pairs (a, b).
     """
-    links, tried, step, most, done = None, None, 0, FEW, False
+    links, tried, step, most, done = None, None, 0, few, False
     while not done:
         held = _held(blocks, links)
         if step < STARS:
@@ -519,20 +519,30 @@ def class_links(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callabl
             pairs = pairs if before is None else pairs.join(before, ["a", "b"], "left_anti")
         found = verify(pairs)
         links, step = found if links is None else links.unionByName(found), step + 1
+        forget_shuffles(blocks.sparkSession)
     return links
 
 
+def _candidate_blocks(texts: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
+    """(blocks, slim): key, cls of the blocks to search, and id, n_shingles, cls of each document."""
+    mark = written_mark()
+    sets = written(_sets(texts, n, num, den), "ngram-sets")
+    slim = written(sets.select("id", "n_shingles", "cls"), "ngram-slim")
+    classes = written(sets.where("bit IS NOT NULL").groupBy("cls").agg(*[F.min(c).alias(c) for c in ("spare", "spare_next", "bit")]), "ngram-spares")
+    keyed = sets.select(F.explode("keys").alias("key"), "cls").repartition("key").sortWithinPartitions("key", "cls")
+    blocks = written(keyed.mapInArrow(tidied(shared_blocks), "key long, cls long, m int"), "ngram-blocks")
+    del sets, keyed  # the keys are the largest table of all; they and their shuffle go
+    release_since(texts.sparkSession, mark, keep=[slim, classes, blocks])
+    return unlike_blocks(_thinned(blocks, classes)), slim
+
+
 def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each document: id, n_shingles, component_id (smallest id reachable by links)."""
     spark = docs.sparkSession
     bound_arrow(spark)
     texts = docs.select(F.col(id_col).cast("long").alias("id"), text_or_empty(text_col).alias("text"))
     mark = written_mark()
-    sets = written(_sets(texts, n, num, den), "ngram-sets")
-    slim = sets.select("id", "n_shingles", "cls")
-    classes = sets.where("bit IS NOT NULL").groupBy("cls").agg(*[F.min(c).alias(c) for c in ("spare", "spare_next", "bit")])
-    keyed = sets.select(F.explode("keys").alias("key"), "cls").repartition("key").sortWithinPartitions("key", "cls")
-    blocks = unlike_blocks(_thinned(written(keyed.mapInArrow(tidied(shared_blocks), "key long, cls long, m int"), "ngram-blocks"), classes))
+    blocks, slim = _candidate_blocks(texts, n, num, den)
     near = written(blocks.select("cls").distinct(), "ngram-near")
     wanted = _wanted(texts, slim, near)
     points = written(wanted.mapInArrow(tidied(_points(n), "word_hashes"), "c long, point binary"), "ngram-points")
@@ -540,7 +550,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     joined = connected_components(class_links(blocks, points, Threshold(num, den), lambda pairs: verified(pairs, wanted, verify)))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
-    release_since(spark, mark, keep=[rooted, sets])
+    release_since(spark, mark, keep=[rooted, slim])
     smallest = rooted.groupBy(F.col("root").alias("r")).agg(F.min("least").alias("component_id"))
     known = rooted.join(smallest, F.col("root") == F.col("r")).select(F.col("cls").alias("c"), "component_id")
     whole = slim.join(known, F.col("cls") == F.col("c"), "left")

@@ -70,6 +70,13 @@ def release_since(spark: SparkSession, mark: int = 0, keep: Iterable[DataFrame]
             path = jvm.org.apache.hadoop.fs.Path(made)
             path.getFileSystem(conf).delete(path, True)
             _made.remove(made)
+    forget_shuffles(spark)
+
+
+def forget_shuffles(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of tables that nothing refers to; it does so when garbage is collected."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def release(spark: SparkSession) -> None:
