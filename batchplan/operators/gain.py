@@ -11,6 +11,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from batchplan.sources.logs import cut_lineage
+
 
 def gain_terms(pairs: DataFrame, stats: DataFrame) -> DataFrame:
     """Overlap shares o and accelerations a of both runs of each pair."""
@@ -25,10 +27,8 @@ def gain_terms(pairs: DataFrame, stats: DataFrame) -> DataFrame:
 
 
 def scheduling_gain(pairs: DataFrame, stats: DataFrame) -> DataFrame:
-    """qi < qj, m_c (co-runs), gain."""
-    w_i, w_j = F.sqrt("mean_i"), F.sqrt("mean_j")
-    term = (w_i * F.col("o_ij") * F.col("a_ij") + w_j * F.col("o_ji") * F.col("a_ji")) / (w_i + w_j)
-    return gain_terms(pairs, stats).groupBy(F.col("query_i").alias("qi"), F.col("query_j").alias("qj")).agg(F.count("*").alias("m_c"), F.avg(term).alias("gain"))
+    """qi < qj, m_c (co-runs), gain. Sums first: the means meet one row for each pair of queries, not each pair of runs."""
+    return gain_from_sums(gain_sums(pairs), stats)
 
 
 def gain_sums(pairs: DataFrame) -> DataFrame:
@@ -88,13 +88,16 @@ def average_linkage(ids: list[int], pairs: list[tuple[int, int, float]], n_c: in
 def cluster_by_gain(gain: DataFrame, stats: DataFrame, n_c: int) -> tuple[DataFrame, DataFrame]:
     """(query_id, cluster_id) and (step, left_id, right_id, gain).
 
-    The matrix of one batch's queries (n <= 5,000, checked) is gathered to the driver on purpose.
+    The matrix of one batch's queries (n <= 5,000, checked) is gathered to the driver on purpose; the links of
+    more queries stay distributed.
     """
     spark = gain.sparkSession
     ids = [r[0] for r in stats.select("query_id").limit(5001).collect()]
     if len(ids) > 5000:
-        raise ValueError("more than 5,000 queries: use mutual_best_clusters")
-    owner, merges = average_linkage(ids, [(r.qi, r.qj, r.gain) for r in gain.select("qi", "qj", "gain").collect()], n_c)
+        owner, merges = mutual_best_clusters(gain, stats, n_c)
+        merges = sorted(merges, key=lambda m: -m[2])[: max(0, len(owner) - n_c)]
+    else:
+        owner, merges = average_linkage(ids, [(r.qi, r.qj, r.gain) for r in gain.select("qi", "qj", "gain").collect()], n_c)
     made = spark.createDataFrame(sorted(owner.items()), "query_id long, cluster_id long")
     return made, spark.createDataFrame([(k, *m) for k, m in enumerate(merges)], "step int, left_id long, right_id long, gain double")
 
@@ -128,7 +131,7 @@ def mutual_best_clusters(gain: DataFrame, stats: DataFrame, n_c: int) -> tuple[d
     pairs = pairs.select("a", "b", F.coalesce("total", F.lit(0.0)).alias("total"), F.lit(1).cast("long").alias("n"))
     merges: list[tuple[int, int, float]] = []
     while True:
-        pairs = pairs.checkpoint()
+        pairs = cut_lineage(pairs)
         merged, again = mutual_best_round(pairs)
         found = [(r.a, r.b, r.gain) for r in merged.collect()]
         if not found:

@@ -2,32 +2,49 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from batchplan.sources.logs import cut_lineage
 
 
 def extract_batches(queries: DataFrame, edges: DataFrame) -> DataFrame:
     """query_id, level: queries of one level do not depend on one another, so each level is a batch.
 
-    edges: query_id, depends_on. The level is one more than the deepest query that it depends on.
+    edges: query_id, depends_on. The level is one more than the deepest query that it depends on. Levels are
+    walked one after another with each query once in a level, so the work is that of the edges times the
+    levels, however many paths there are; a cycle raises.
     """
-    spark = queries.sparkSession
-    queries.createOrReplaceTempView("batch_queries")
-    edges.createOrReplaceTempView("batch_edges")
-    return spark.sql("""
-        WITH RECURSIVE walk(query_id, level) AS (
-          SELECT q.query_id, 0 FROM batch_queries q LEFT ANTI JOIN batch_edges e ON q.query_id = e.query_id
-          UNION ALL SELECT e.query_id, w.level + 1 FROM walk w JOIN batch_edges e ON e.depends_on = w.query_id)
-        SELECT query_id, max(level) AS level FROM walk GROUP BY query_id""")
+    on = edges.select(F.col("query_id").alias("next"), "depends_on").distinct()
+    front = queries.select("query_id").join(on, F.col("query_id") == F.col("next"), "left_anti").distinct()
+    found, most = front.withColumn("level", F.lit(0)), queries.count()
+    for level in range(1, most + 1):
+        front = cut_lineage(on.join(front, F.col("depends_on") == F.col("query_id")).select(F.col("next").alias("query_id")).distinct())
+        if front.isEmpty():
+            return found.groupBy("query_id").agg(F.max("level").alias("level"))
+        found = found.unionByName(front.withColumn("level", F.lit(level)))
+    if most:
+        raise ValueError("the dependencies have a cycle")
+    return found
+
+
+def _view(df: DataFrame) -> str:
+    """df under a name that nothing else has."""
+    name = f"tree_{uuid.uuid4().hex}"
+    df.createOrReplaceTempView(name)
+    return name
 
 
 def plan_distances(nodes: DataFrame) -> DataFrame:
     """node_a, node_b, dist: steps between any two nodes of a tree (node_id, parent_id), by common ancestors."""
     spark = nodes.sparkSession
-    nodes.createOrReplaceTempView("plan_tree")
-    return spark.sql("""
+    tree = _view(nodes)
+    return spark.sql(f"""
         WITH RECURSIVE up(node_id, above, steps) AS (
-          SELECT node_id, node_id, 0 FROM plan_tree
-          UNION ALL SELECT u.node_id, t.parent_id, u.steps + 1 FROM up u JOIN plan_tree t ON t.node_id = u.above WHERE t.parent_id IS NOT NULL)
+          SELECT node_id, node_id, 0 FROM {tree}
+          UNION ALL SELECT u.node_id, t.parent_id, u.steps + 1 FROM up u JOIN {tree} t ON t.node_id = u.above WHERE t.parent_id IS NOT NULL)
         SELECT a.node_id AS node_a, b.node_id AS node_b, min(a.steps + b.steps) AS dist
         FROM up a JOIN up b ON a.above = b.above GROUP BY 1, 2""")
 
@@ -35,9 +52,9 @@ def plan_distances(nodes: DataFrame) -> DataFrame:
 def plan_heights(nodes: DataFrame) -> DataFrame:
     """node_id, height: steps to the deepest leaf below."""
     spark = nodes.sparkSession
-    nodes.createOrReplaceTempView("plan_tree")
-    return spark.sql("""
+    tree = _view(nodes)
+    return spark.sql(f"""
         WITH RECURSIVE up(above, steps) AS (
-          SELECT node_id, 0 FROM plan_tree
-          UNION ALL SELECT t.parent_id, u.steps + 1 FROM up u JOIN plan_tree t ON t.node_id = u.above WHERE t.parent_id IS NOT NULL)
+          SELECT node_id, 0 FROM {tree}
+          UNION ALL SELECT t.parent_id, u.steps + 1 FROM up u JOIN {tree} t ON t.node_id = u.above WHERE t.parent_id IS NOT NULL)
         SELECT above AS node_id, max(steps) AS height FROM up GROUP BY above""")

@@ -131,20 +131,21 @@ entry(
 
 @entry(
     "running_features",
-    f"""{A}, {STATS}, one AS (SELECT * FROM log_a WHERE round_id = DATE '2024-01-10'), moment AS (SELECT (min(start_us) + max(start_us)) // 2 AS t FROM one),
+    f"""{A}, {STATS}, moment AS (SELECT round_id, (min(start_us) + max(start_us)) // 2 AS t FROM log_a GROUP BY 1),
     f AS (SELECT run_id, CASE WHEN start_us > t THEN 0 WHEN finish_us > t THEN 1 ELSE 2 END AS status, config_id, CASE WHEN start_us <= t AND finish_us > t THEN t - start_us ELSE 0 END AS elapsed, avg_us,
-          (SELECT max(avg_us) FROM stats) AS t_max FROM one JOIN stats USING (query_id), moment),
+          (SELECT max(avg_us) FROM stats) AS t_max FROM log_a JOIN stats USING (query_id) JOIN moment USING (round_id)),
     v AS (SELECT run_id, unnest([CAST(status = 0 AS DOUBLE), CAST(status = 1 AS DOUBLE), CAST(status = 2 AS DOUBLE)]
           || list_transform([0, 1, 2, 3, 4], lambda k: CASE WHEN status > 0 AND k = config_id THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END) || [elapsed / t_max, avg_us / t_max]) AS value,
           generate_subscripts([1, 2, 3, 4, 5, 6, 7, 8, 9, 10], 1) - 1 AS pos FROM f)
     SELECT run_id, CAST(pos AS INTEGER) AS pos, round(value, 6) AS value FROM v""",
 )
 def running_features(s: SparkSession, d: str) -> DataFrame:
-    stats = st.avg_runtime(log_a(s, d))
-    one = log_a(s, d).where("round_id = DATE '2024-01-10'")
-    at = one.agg(F.expr("(min(start_us) + max(start_us)) DIV 2").alias("t"))
-    t_max = stats.agg(F.max("avg_us").alias("t_max"))
-    rows = one.join(stats, "query_id").join(F.broadcast(at)).join(F.broadcast(t_max))
+    """The features of every round's runs at the middle of its starts."""
+    log = log_a(s, d)
+    stats = st.avg_runtime(log)
+    at = log.groupBy("round_id").agg(F.expr("(min(start_us) + max(start_us)) DIV 2").alias("t"))
+    t_max = stats.agg(F.max("avg_us").alias("t_max"))  # one row
+    rows = log.join(stats, "query_id").join(at, "round_id").join(F.broadcast(t_max))
     status = F.when(F.col("start_us") > F.col("t"), 0).when(F.col("finish_us") > F.col("t"), 1).otherwise(2)
     elapsed = F.when(status == 1, F.col("t") - F.col("start_us")).otherwise(0)
     v = fw.running_features(status, F.col("config_id"), 5, elapsed, F.col("avg_us"), F.col("t_max"))
@@ -175,12 +176,12 @@ def sql_dense(vec: str, n: int, shift: int, act: bool) -> str:
     return f"list_transform(range({n}), lambda j: {'tanh(' + total + ')' if act else total})"
 
 
-EMB = "emb AS (SELECT vec_id, label, list_transform(embedding[1:8], lambda x: CAST(x AS DOUBLE)) AS x FROM embeddings)"
+EMB = "emb AS (SELECT vec_id, label, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS x FROM embeddings)"
 GMODEL = f"({sql_dense(sql_dense('a.x || b.x', 4, 300, True), 1, 400, False)})[1] + ({sql_dense(sql_dense('b.x || a.x', 4, 300, True), 1, 400, False)})[1]"
 
 
 def emb(s: SparkSession, d: str) -> DataFrame:
-    return table(s, d, "embeddings").select("vec_id", "label", F.transform(F.slice("embedding", 1, 8), lambda x: x.cast("double")).alias("x"))
+    return table(s, d, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("x"))
 
 
 def pair_gain(a: Column, b: Column) -> Column:
@@ -189,15 +190,18 @@ def pair_gain(a: Column, b: Column) -> Column:
     return one(a, b) + one(b, a)
 
 
-def paired(left: DataFrame, right: DataFrame) -> DataFrame:
-    return left.select(F.col("vec_id").alias("qi"), F.col("x").alias("xi")).join(right.select(F.col("vec_id").alias("qj"), F.col("x").alias("xj")), F.col("qi") < F.col("qj"))
+def paired(s: SparkSession, d: str) -> DataFrame:
+    """The vectors of all pairs of queries that the log has seen together."""
+    x = emb(s, d).select("vec_id", "x")
+    sums = gn.gain_sums(iv.concurrent_pairs(log_a(s, d))).select("qi", "qj")
+    return sums.join(x.select(F.col("vec_id").alias("qi"), F.col("x").alias("xi")), "qi").join(x.select(F.col("vec_id").alias("qj"), F.col("x").alias("xj")), "qj")
 
 
-entry("gain_model_forward", f"WITH {EMB} SELECT a.vec_id AS qi, b.vec_id AS qj, round({GMODEL}, 6) AS gain_hat FROM emb a JOIN emb b ON a.vec_id < b.vec_id AND b.vec_id < 20")(
-    lambda s, d: r6(paired(emb(s, d).where("vec_id < 20"), emb(s, d).where("vec_id < 20")).select("qi", "qj", pair_gain(F.col("xi"), F.col("xj")).alias("gain_hat")))
+entry("gain_model_forward", f"{G}, {EMB} SELECT qi, qj, round({GMODEL}, 6) AS gain_hat FROM gain JOIN emb a ON a.vec_id = qi JOIN emb b ON b.vec_id = qj")(
+    lambda s, d: r6(paired(s, d).select("qi", "qj", pair_gain(F.col("xi"), F.col("xj")).alias("gain_hat")))
 )
-entry("gain_symmetry", "SELECT CAST(0 AS BIGINT) AS violations")(
-    lambda s, d: paired(emb(s, d).where("vec_id < 20"), emb(s, d).where("vec_id < 20")).where(F.abs(pair_gain(F.col("xi"), F.col("xj")) - pair_gain(F.col("xj"), F.col("xi"))) > 1e-12).agg(F.count("*").alias("violations"))
+entry("gain_symmetry", f"{G}, {EMB} SELECT qi, qj, round({GMODEL.replace('a.x', 'c.x').replace('b.x', 'a.x').replace('c.x', 'b.x')}, 6) AS turned FROM gain JOIN emb a ON a.vec_id = qi JOIN emb b ON b.vec_id = qj")(
+    lambda s, d: r6(paired(s, d).select("qi", "qj", pair_gain(F.col("xi"), F.col("xj")).alias("turned")))
 )
 
 
@@ -400,16 +404,18 @@ entry("finish_time_head", f"WITH {EMB} SELECT vec_id, round(({sql_dense(sql_dens
 
 @entry(
     "attention_forward",
-    f"""WITH {EMB}, r AS (SELECT vec_id, x FROM emb WHERE vec_id < 16 UNION ALL SELECT -1, list_transform(range(8), lambda k: 0.1::DOUBLE)),
-    s AS (SELECT a.vec_id, a.x, b.x AS v, list_dot_product({sql_dense('a.x', 4, 100, False)}, {sql_dense('b.x', 4, 200, False)}) / 2 AS s FROM r a, r b),
-    p AS (SELECT *, exp(s - max(s) OVER w) / sum(exp(s - max_s)) OVER w AS p FROM (SELECT *, max(s) OVER (PARTITION BY vec_id) AS max_s FROM s) WINDOW w AS (PARTITION BY vec_id)),
-    u AS (SELECT vec_id, unnest(x) AS xi, p * unnest(v) AS pv, generate_subscripts(x, 1) - 1 AS pos FROM p)
-    SELECT vec_id, CAST(pos AS INTEGER) AS pos, round(any_value(xi) + sum(pv), 6) AS value FROM u GROUP BY 1, 2""",
+    f"""WITH {EMB}, own AS (SELECT label, vec_id // 16 AS part, vec_id, x FROM emb),
+    r AS (SELECT * FROM own UNION ALL SELECT DISTINCT label, part, -1, list_transform(range(64), lambda k: 0.1::DOUBLE) FROM own),
+    s AS (SELECT a.label, a.part, a.vec_id, a.x, b.x AS v, list_dot_product({sql_dense('a.x', 4, 100, False)}, {sql_dense('b.x', 4, 200, False)}) / 2 AS s FROM r a JOIN r b ON a.label = b.label AND a.part = b.part),
+    p AS (SELECT *, exp(s - max(s) OVER w) / sum(exp(s - max_s)) OVER w AS p FROM (SELECT *, max(s) OVER (PARTITION BY label, part, vec_id) AS max_s FROM s) WINDOW w AS (PARTITION BY label, part, vec_id)),
+    u AS (SELECT label, part, vec_id, unnest(x) AS xi, p * unnest(v) AS pv, generate_subscripts(x, 1) - 1 AS pos FROM p)
+    SELECT label, CAST(part AS BIGINT) AS part, vec_id, CAST(pos AS INTEGER) AS pos, round(any_value(xi) + sum(pv), 6) AS value FROM u GROUP BY 1, 2, 3, 4""",
 )
 def attention_forward(s: SparkSession, d: str) -> DataFrame:
-    rows = emb(s, d).where("vec_id < 16").select("vec_id", "x")
-    rows = rows.unionByName(s.range(1).select(F.lit(-1).cast("long").alias("vec_id"), F.array_repeat(F.lit(0.1), 8).alias("x")))
-    return r6(fw.attention(rows, [], "vec_id", "x"))
+    """All vectors, in states of a label's vectors of sixteen neighbouring ids and a super query."""
+    own = emb(s, d).select("label", F.expr("vec_id DIV 16").alias("part"), "vec_id", "x")
+    above = own.select("label", "part").distinct().select("label", "part", F.lit(-1).cast("long").alias("vec_id"), F.array_repeat(F.lit(0.1), 64).alias("x"))
+    return r6(fw.attention(own.unionByName(above), ["label", "part"], "vec_id", "x"))
 
 
 # --- losses: events' value and props.k stand in for logged numbers --------------------------------

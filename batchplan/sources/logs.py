@@ -6,6 +6,8 @@ integer microseconds; a run of no length is no run.
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -61,3 +63,15 @@ def first_run_per_round(log: DataFrame) -> DataFrame:
     """The earliest run of each query in each round; ties by run."""
     first = log.groupBy("round_id", "query_id").agg(F.min(F.struct("start_us", "run_id", "finish_us")).alias("r"))
     return first.select("round_id", "query_id", "r.run_id", "r.start_us", "r.finish_us")
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """df checkpointed in the shared folder of spark.checkpoint.dir; only a local session gets a folder of its own."""
+    spark = df.sparkSession
+    context = spark.sparkContext
+    if not context._jsc.sc().getCheckpointDir().isDefined():
+        base = spark.conf.get("spark.checkpoint.dir", None)
+        if not base and not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir is not set: on a cluster it must name a folder that driver and executors share")
+        context.setCheckpointDir(base or tempfile.mkdtemp(prefix="batchplan-"))
+    return df.checkpoint()
