@@ -22,13 +22,16 @@ from pyspark.sql import SparkSession
 from batchplan.learn.autograd import Adam, Tensor, gradients
 from batchplan.learn.executor import WORKERS, Demands, Executor, features, run_order
 from batchplan.learn.networks import StateEncoder
+from batchplan.learn.plan_demands import logged_solo
 
 
 @dataclass(frozen=True)
 class TrainConfig:
-    iterations: int = 14
-    rollouts: int = 24
-    n_ppo: int = 4
+    iterations: int = 24
+    rollouts: int = 25
+    n_ppo: int = 10
+    evaluate_every: int = 2
+    evaluations: int = 5
     epochs: int = 4
     aux: str = "finish"
     learner: str = "clipped"
@@ -47,8 +50,8 @@ class TrainConfig:
 
 
 def mask_of(demands: Demands, profile: str, least: float = 0.05) -> np.ndarray:
-    """Configurations whose workers save at least a share of the time of the next cheaper one [n, K]."""
-    solo = demands.solo(profile)
+    """Configurations whose workers save at least a share of the logged time of the next cheaper one [n, K]."""
+    solo = logged_solo(demands, profile)
     gain = (solo[:, :-1] - solo[:, 1:]) / solo[:, :-1]
     return np.concatenate([np.ones((demands.n, 1), bool), gain >= least], 1)
 
@@ -58,11 +61,12 @@ class Policy:
 
     def __init__(self, demands: Demands, cfg: TrainConfig, params: dict | None = None) -> None:
         self.demands, self.cfg = demands, cfg
-        self.solo = demands.solo(cfg.profile)
+        self.solo = logged_solo(demands, cfg.profile)
         self.scale = float(self.solo.mean()) * 2
         self.e = demands.features()
         self.mask = mask_of(demands, cfg.profile) if cfg.masked else np.ones(self.solo.shape, bool)
         self.net = StateEncoder(self.e.shape[1], 3 + len(WORKERS) + 2, demands.n, kind=cfg.state)
+        self.calibrated = params is not None
         self.params = params if params is not None else self.net.init(cfg.seed, {"q_policy": len(WORKERS), "s_value": 1, "q_finish": 1})
 
     def choices(self, env) -> np.ndarray:
@@ -169,12 +173,13 @@ def update(policy: Policy, batch: list[tuple[float, list, list]], opt: Adam) ->
 
 
 def calibrate(policy: Policy, batch: list[tuple[float, list, list]], keep: float = 0.0) -> None:
-    """Set the normalisation statistics from the states of rollouts.
+    """Set the normalisation statistics from the states of rollouts, before a policy's first update.
 
     Updates then run with the same statistics as rollouts did, so ratios to the old policy start at one.
     """
     steps = [s for _, one, _ in batch for s in one]
     f, running = np.stack([s["f"] for s in steps]), np.stack([s["running"] for s in steps])
+    policy.calibrated = True
     for _ in range(2 * policy.net.layers):  # a layer's statistics depend on those before it
         stats: dict = {}
         policy.net.forward({k: Tensor(v) for k, v in policy.params.items()}, np.broadcast_to(policy.e, (len(f), *policy.e.shape)), f, running, stats=stats)
@@ -217,25 +222,31 @@ def _step(policy: Policy, loss, opt: Adam) -> float:
 
 
 def train(spark: SparkSession, demands: Demands, cfg: TrainConfig, policy: Policy | None = None, env: str = "executor", extra=None) -> tuple[Policy, list[dict]]:
-    """Backbone iterations, an auxiliary phase after every n_ppo of them; keeps the best policy seen."""
-    fresh = policy is None
+    """Backbone iterations, an auxiliary phase after every n_ppo of them; keeps the policy that evaluates best.
+
+    Every ``evaluate_every`` iterations (and at the end) the greedy policy plays evaluation rounds on the
+    training environment; their mean decides what is kept, and log rows have it as ``evaluated``.
+    """
     policy = policy or Policy(demands, cfg)
-    opt, log, held, best = Adam(cfg.rate), [], [], (np.inf, policy.params)
+    opt, log, held, best, rounds = Adam(cfg.rate), [], [], (np.inf, policy.params), 0
     for i in range(cfg.iterations):
         batch = collect(spark, policy, [cfg.seed * 100_003 + i * cfg.rollouts + k for k in range(cfg.rollouts)], env=env, extra=extra)
-        mean = float(np.mean([m for m, _, _ in batch]))
-        if i == 0 and fresh:
+        rounds += len(batch)
+        log.append({"iteration": i, "rounds": rounds, "makespan": float(np.mean([m for m, _, _ in batch])), "loss": 0.0})
+        if not policy.calibrated:
             calibrate(policy, batch)
-            log.append({"iteration": i, "rounds": cfg.rollouts, "makespan": mean, "loss": 0.0})
             continue
-        if mean < best[0]:
-            best = (mean, {k: v.copy() for k, v in policy.params.items()})
         held += batch
-        loss = update(policy, batch, opt)
-        log.append({"iteration": i, "rounds": (i + 1) * cfg.rollouts, "makespan": mean, "loss": loss})
+        log[-1]["loss"] = update(policy, batch, opt)
         if cfg.aux != "none" and cfg.learner == "clipped" and (i + 1) % cfg.n_ppo == 0:
             log[-1]["aux"] = auxiliary(policy, held, opt)
             held = []
+        if (i + 1) % cfg.evaluate_every == 0 or i + 1 == cfg.iterations:
+            seen = [m for m, _, _ in collect(spark, policy, list(range(800_000, 800_000 + cfg.evaluations)), True, env, extra)]
+            rounds += len(seen)
+            log[-1] |= {"evaluated": float(np.mean(seen)), "rounds": rounds}
+            if log[-1]["evaluated"] < best[0]:
+                best = (log[-1]["evaluated"], {k: v.copy() for k, v in policy.params.items()})
     policy.params = best[1]
     return policy, log
 
@@ -246,23 +257,29 @@ def evaluate(spark: SparkSession, policy: Policy, rounds: int = 5, greedy: bool
     return float(np.mean(spans)), float(np.std(spans))
 
 
-def heuristics(demands: Demands, cfg: TrainConfig, rounds: int = 5) -> dict[str, tuple[float, float]]:
-    """FIFO, MCF and Random with the cheapest configuration, and the best fixed configuration of MCF."""
-    n, solo = demands.n, demands.solo(cfg.profile)
+def heuristics(demands: Demands, cfg: TrainConfig, rounds: int = 5, config: int = 1) -> dict[str, tuple[float, float]]:
+    """FIFO, MCF (by logged times) and Random, with one configuration for all queries."""
+    n, solo = demands.n, logged_solo(demands, cfg.profile)
     world = lambda s: Executor(demands, cfg.n_conn, cfg.profile, cfg.noise, 900_000 + s)
-    orders = {"fifo": lambda s: list(range(n)), "mcf": lambda s: np.argsort(-solo[:, 0], kind="stable").tolist(), "random": lambda s: np.random.default_rng(s).permutation(n).tolist()}
+    orders = {"fifo": lambda s: list(range(n)), "mcf": lambda s: np.argsort(-solo[:, config], kind="stable").tolist(), "random": lambda s: np.random.default_rng(s).permutation(n).tolist()}
     out = {}
     for name, order in orders.items():
-        spans = [run_order(world(s), order(s), 1) for s in range(rounds)]
+        spans = [run_order(world(s), order(s), config) for s in range(rounds)]
         out[name] = (float(np.mean(spans)), float(np.std(spans)))
     return out
 
 
+def best_fixed(demands: Demands, cfg: TrainConfig, rounds: int = 5) -> dict[str, tuple[float, float]]:
+    """The heuristics, each with the configuration that suits it best: the strongest form of the baselines."""
+    every = [heuristics(demands, cfg, rounds, k) for k in range(len(WORKERS))]
+    return {name: min(one[name] for one in every) for name in every[0]}
+
+
 class SafePolicy:
-    """A policy that gives way to a fallback order when its recent rounds are worse than the fallback's."""
+    """A policy that gives way to the longest-first order when its recent rounds are worse than that order's."""
 
-    def __init__(self, policy: Policy, fallback_span: float, window: int = 5, tolerance: float = 0.05) -> None:
-        self.policy, self.fallback_span, self.window, self.tolerance, self.spans = policy, fallback_span, window, tolerance, []
+    def __init__(self, policy: Policy, fallback_span: float, window: int = 5, tolerance: float = 0.05, config: int = 1) -> None:
+        self.policy, self.fallback_span, self.window, self.tolerance, self.config, self.spans = policy, fallback_span, window, tolerance, config, []
 
     def record(self, span: float) -> None:
         self.spans.append(span)
@@ -271,6 +288,14 @@ class SafePolicy:
         recent = self.spans[-self.window :]
         return len(recent) == self.window and float(np.mean(recent)) > self.fallback_span * (1 + self.tolerance)
 
+    def play(self, env, seed: int = 0) -> tuple[str, float]:
+        """One round: by the policy, or by the fallback order (which is not recorded: fresh parameters start a new one)."""
+        if self.degraded():
+            return "fallback", run_order(env, np.argsort(-self.policy.solo[:, self.config], kind="stable").tolist(), self.config)
+        span = self.policy.rollout(env, seed, True)[0]
+        self.record(span)
+        return "policy", span
+
 
 def variant(cfg: TrainConfig, **how) -> TrainConfig:
     return replace(cfg, **how)

@@ -14,13 +14,14 @@ OPERATORS, COLUMNS = 24, 16
 FEATURES = OPERATORS + COLUMNS + 3
 
 
-def capture_plan(spark: SparkSession, sql: str, query_id: int, tables: tuple[str, ...] = ()) -> list[tuple]:
+def capture_plan(spark: SparkSession, sql: str, query_id: int, tables: tuple[str, ...] = (), columns: dict[str, set[str]] | None = None) -> list[tuple]:
     """(query_id, node_id, parent_id, op, tables, predicates, bytes) of the optimised plan, root first.
 
     Only the analyser and the optimiser run; the tree comes in preorder with numbers of children.
     """
     plan = spark.sql(sql)._jdf.queryExecution().optimizedPlan()
     size = float(str(plan.stats().sizeInBytes()))
+    columns = columns or {t: set(spark.table(t).columns) for t in tables}
     nodes, open_ = [], []
     for k, n in enumerate(json.loads(plan.toJSON())):
         while open_ and open_[-1][1] == 0:
@@ -32,12 +33,12 @@ def capture_plan(spark: SparkSession, sql: str, query_id: int, tables: tuple[str
         op = n["class"].rsplit(".", 1)[-1]
         names = sorted(set(re.findall(r'"name":"(\w+)"', json.dumps(n.get("condition", n.get("output", [])), separators=(",", ":")))))
         predicates = names if "condition" in n else []
-        read = [t for t in tables if op == "LogicalRelation" and any(c.startswith(_PREFIX.get(t, t)) for c in names)]
+        # a scan reads the table that has most of its columns
+        read = sorted((t for t in tables if op == "LogicalRelation" and columns[t] & set(names)), key=lambda t: (-len(columns[t] & set(names)), t))[:1]
         nodes.append((query_id, k, parent, op, read, predicates, size if k == 0 else None))
     return nodes
 
 
-_PREFIX = {"lineitem": "l_", "orders": "o_", "customer": "c_", "supplier": "s_", "part": "p_", "nation": "n_", "region": "r_"}
 SCHEMA = "query_id long, node_id int, parent_id int, op string, tables array<string>, predicates array<string>, est_bytes double"
 
 

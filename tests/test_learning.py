@@ -7,7 +7,7 @@ from batchplan.learn.autograd import Tensor, gradients
 from batchplan.learn.executor import Demands, Executor, run_order
 from batchplan.learn.networks import StateEncoder
 from batchplan.learn.simulator import Simulator
-from batchplan.learn.training import Policy, TrainConfig, advantages, heuristics, train
+from batchplan.learn.training import Policy, SafePolicy, TrainConfig, advantages, evaluate, heuristics, train
 
 
 @pytest.fixture
@@ -66,10 +66,40 @@ def test_advantages_telescope():
 
 
 def test_training_beats_fifo(spark, demands):
-    cfg = TrainConfig(iterations=10, rollouts=16, profile="io")
+    """The evaluated policy against the heuristics' rounds, not its own noise."""
+    cfg = TrainConfig(iterations=14, profile="io")
     policy, log = train(spark, demands, cfg)
-    best = min(x["makespan"] for x in log)
-    assert best < log[0]["makespan"] and set(heuristics(demands, cfg)) == {"fifo", "mcf", "random"}
+    others = heuristics(demands, cfg)
+    assert set(others) == {"fifo", "mcf", "random"} and evaluate(spark, policy)[0] < others["fifo"][0]
+    assert [x["iteration"] for x in log if "evaluated" in x] == [1, 3, 5, 7, 9, 11, 13] and log[-1]["rounds"] == 14 * 25 + 7 * 5
+
+
+def test_policies_see_logs_and_plans_only(spark):
+    from batchplan.learn.plan_demands import demands_from_plans, logged_solo
+    from batchplan.plans.workloads import star22
+
+    # of the tables' sizes a policy only sees the optimiser's estimate, as one feature of the plan
+    small, large = (demands_from_plans(spark, f"/root/testdata/sf{x}", star22()[:6]) for x in ("0.001", "0.01"))
+    assert (small.cpu < large.cpu).all() and (small.volume.sum(1) < large.volume.sum(1)).all()
+    assert np.abs(small.features() - large.features()).max() < 0.02 and len({tuple(x) for x in small.features()}) == 6
+    assert np.abs(logged_solo(large, "shared") / large.solo("shared") - 1).max() < 0.6
+    policy = Policy(large, TrainConfig())
+    assert not np.allclose(policy.solo, large.solo("shared")) and policy.mask[:, 0].all()
+
+
+def test_larger_tables_are_not_a_factor(spark):
+    from batchplan.learn.plan_demands import demands_from_plans
+    from batchplan.plans.workloads import star22
+
+    spans = [run_order(Executor(demands_from_plans(spark, "/root/testdata/sf0.01", star22()[:8], f), 3, "io"), list(range(8)), 1) for f in (1, 4)]
+    assert spans[1] > 4.2 * spans[0]
+
+
+def test_safe_policy_gives_way(demands):
+    policy = Policy(demands, TrainConfig())
+    safe = SafePolicy(policy, fallback_span=1e-3, window=3)
+    played = [safe.play(Executor(demands, 3, noise=0.05, seed=k), k)[0] for k in range(5)]
+    assert played == ["policy"] * 3 + ["fallback"] * 2
 
 
 def test_simulator_beats_guessing(demands):
