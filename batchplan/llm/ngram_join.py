@@ -48,7 +48,7 @@ from batchplan.llm.shared import bound_arrow, forget_shuffles, release_since, te
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
 #: Pairs that a tree gives for two components in its first round; times as many in each round after it.
-FEW, MORE = 8, 64
+FEW, MORE = 2, 1024
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.

@@ -61,12 +61,22 @@ def written_mark() -> int:
     return len(_made)
 
 
+def made_since(mark: int) -> list[str]:
+    """The paths of the tables written since ``mark``."""
+    return _made[mark:]
+
+
 def release_since(spark: SparkSession, mark: int = 0, keep: Iterable[DataFrame] = ()) -> None:
     """Delete the tables written since ``mark``, but for those that ``keep`` read; nothing may read the others any more."""
+    release_tables(spark, made_since(mark), keep)
+
+
+def release_tables(spark: SparkSession, paths: Iterable[str], keep: Iterable[DataFrame] = ()) -> None:
+    """Delete written tables, but for those that ``keep`` read."""
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     spared = [f for df in keep for f in df.inputFiles()]
-    for made in _made[mark:]:
-        if not any(made.rsplit("/", 1)[1] in f for f in spared):
+    for made in paths:
+        if made in _made and not any(made.rsplit("/", 1)[1] in f for f in spared):
             path = jvm.org.apache.hadoop.fs.Path(made)
             path.getFileSystem(conf).delete(path, True)
             _made.remove(made)
