@@ -48,7 +48,7 @@ from batchplan.llm.shared import bound_arrow, forget_shuffles, release_since, te
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
 #: Pairs that a tree gives for two components in its first round; times as many in each round after it.
-FEW, MORE = 2, 1024
+FEW, MORE = 4, 64
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.
@@ -372,7 +372,7 @@ def tree_pairs(left: tuple[list, list, list[bytes]], right: tuple[list, list, li
     points = unpacked([*left[2], *([] if own else right[2])])
     probes = points[: len(left[0])]
     rows = probes if own else points[len(left[0]) :]
-    near = np.array(near_pairs(rows, probes, at), np.int64).reshape(-1, 2)
+    near = np.concatenate([np.zeros((0, 2), np.int64), *CountTree(rows).pairs(rows, probes, at)])
     names, roots = (np.array(left[k], np.int64) for k in (0, 1)), (np.array(right[k], np.int64) for k in (0, 1))
     (lc, lr), (rc, rr) = names, roots
     i, j = near[(lr[near[:, 0]] != rr[near[:, 1]]) & (lc[near[:, 0]] != rc[near[:, 1]]) & ((near[:, 1] > near[:, 0]) | (not own))].T
