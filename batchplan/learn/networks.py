@@ -15,10 +15,15 @@ FILL = -1e8
 
 
 class StateEncoder:
-    """kind "attention", or "concat" (features of all queries side by side, for a fixed n)."""
+    """kind "attention", "joined" or "concat".
 
-    def __init__(self, d_e: int, d_f: int, n: int, d: int = 16, heads: int = 2, layers: int = 1, kind: str = "attention") -> None:
-        self.d_e, self.d_f, self.n, self.d, self.heads, self.layers, self.kind = d_e, d_f, n, d, heads, layers, kind
+    "attention" sees the mean of all queries' running features beside the super query, and of the running ones'
+    beside each query, so n may vary. "joined" sees them side by side instead: all n for the state, and ``slots``
+    of running queries (in their order, empty ones zero) for a query. "concat" has no attention, for a fixed n.
+    """
+
+    def __init__(self, d_e: int, d_f: int, n: int, d: int = 16, heads: int = 2, layers: int = 1, kind: str = "attention", slots: int = 1) -> None:
+        self.d_e, self.d_f, self.n, self.d, self.heads, self.layers, self.kind, self.slots = d_e, d_f, n, d, heads, layers, kind, slots
 
     def _mlp(self, p: dict, rng, name: str, sizes: tuple[int, ...]) -> None:
         for k, (a, b) in enumerate(zip(sizes[:-1], sizes[1:], strict=True)):
@@ -37,9 +42,9 @@ class StateEncoder:
             for bn in ("n1", "n2"):
                 p[f"l{k}_{bn}_g"], p[f"l{k}_{bn}_b"] = np.ones(d), np.zeros(d)
                 p[f"run_l{k}_{bn}_m"], p[f"run_l{k}_{bn}_v"] = np.zeros(d), np.ones(d)
-        wide = self.n * self.d_f if self.kind == "concat" else d + self.d_f
+        wide = {"concat": self.n * self.d_f, "joined": d + self.n * self.d_f, "attention": d + self.d_f}[self.kind]
         self._mlp(p, rng, "glob", (wide, d, d))
-        self._mlp(p, rng, "fin", (2 * d + self.d_f, d, d))
+        self._mlp(p, rng, "fin", (2 * d + self.d_f * (self.slots if self.kind == "joined" else 1), d, d))
         for name, out in heads.items():
             self._mlp(p, rng, name, (d, d, out))
             p[f"{name}_w1"] *= 0.1
@@ -82,10 +87,16 @@ class StateEncoder:
                 x = self._norm(p, f"l{k}_n1", x + a.swap(1, 2).reshape(b, n + 1, d) @ p[f"l{k}_o"], ok, stats)
                 x = self._norm(p, f"l{k}_n2", x + self.mlp(p, f"l{k}_ff", x), ok, stats)
             mixed, whole = x.pick((slice(None), slice(0, n))), x.pick((slice(None), n))
-            mean_f = (f * valid[..., None]).sum(1) / np.maximum(valid.sum(1), 1)[:, None]
-            glob = self.mlp(p, "glob", concat([whole, Tensor(mean_f)]))
-        run_f = (f * running[..., None]).sum(1) / np.maximum(running.sum(1), 1)[:, None]
-        spread = concat([whole, Tensor(run_f)]).reshape(b, 1, d + self.d_f) + np.zeros((b, n, 1))
+            all_f = (f * valid[..., None]).reshape(b, -1) if self.kind == "joined" else (f * valid[..., None]).sum(1) / np.maximum(valid.sum(1), 1)[:, None]
+            glob = self.mlp(p, "glob", concat([whole, Tensor(all_f)]))
+        if self.kind == "joined":
+            first = np.argsort(~running, axis=1, kind="stable")[:, : self.slots]
+            run_f = np.zeros((b, self.slots, self.d_f))
+            run_f[:, : first.shape[1]] = np.take_along_axis(f * running[..., None], first[..., None], 1)
+            run_f = run_f.reshape(b, -1)
+        else:
+            run_f = (f * running[..., None]).sum(1) / np.maximum(running.sum(1), 1)[:, None]
+        spread = concat([whole, Tensor(run_f)]).reshape(b, 1, -1) + np.zeros((b, n, 1))
         return self.mlp(p, "fin", concat([mixed, spread])), glob
 
     def logits(self, p: dict, x2: Tensor, allowed: np.ndarray) -> Tensor:

@@ -2,7 +2,7 @@
 
 Variants of one trainer: aux="finish" (an auxiliary phase predicts who finishes next and when, and keeps the
 policy near itself by a cloning term), "value" (it predicts state values), "none" (the clipped surrogate
-alone); state "attention" or "concat"; a mask of configurations or none; clusters of queries instead of
+alone); state "attention", "joined" or "concat"; a mask of configurations or none; clusters of queries instead of
 queries; learner "plain" is the operator-level competitor: policy gradient against the mean return.
 
 Parameters travel as a broadcast of at most some MB; a rollout is a task's row, so a lost executor repeats
@@ -12,7 +12,7 @@ its seeds and gets the same rollouts.
 from __future__ import annotations
 
 import pickle
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -63,25 +63,31 @@ class Policy:
         self.demands, self.cfg = demands, cfg
         self.solo = logged_solo(demands, cfg.profile)
         self.scale = float(self.solo.mean()) * 2
-        self.e = demands.features()
         self.mask = mask_of(demands, cfg.profile) if cfg.masked else np.ones(self.solo.shape, bool)
-        self.net = StateEncoder(self.e.shape[1], 3 + len(WORKERS) + 2, demands.n, kind=cfg.state)
+        self.e = self.embeddings()
+        self.net = StateEncoder(self.e.shape[1], 3 + len(WORKERS) + 2, len(self.e), kind=cfg.state, slots=cfg.n_conn)
         self.calibrated = params is not None
         self.params = params if params is not None else self.net.init(cfg.seed, {"q_policy": len(WORKERS), "s_value": 1, "q_finish": 1})
 
+    def embeddings(self) -> np.ndarray:
+        return self.demands.features()
+
+    def seen(self, env) -> tuple[np.ndarray, np.ndarray]:
+        """Running features of what is chosen from, and which of it is running."""
+        return features(env, self.solo, self.scale), env.status == 1
+
     def choices(self, env) -> np.ndarray:
-        pending = env.status == 0
-        open_ = self.mask & pending[:, None]
-        if self.cfg.clusters is not None:
-            c = np.array(self.cfg.clusters)
-            begun = {int(k) for k in c[env.status > 0]} & {int(k) for k in c[pending]}
-            if begun:  # a chosen cluster is drained before the next choice
-                open_ &= (c == min(begun))[:, None]
-        return open_
+        return self.mask & (env.status == 0)[:, None]
+
+    def submissions(self, q: int, config: int) -> list[tuple[int, int]]:
+        """The queries and configurations that a choice stands for, in order."""
+        return [(q, config)]
+
+    def item(self, q: int) -> int:
+        return q
 
     def act(self, env, rng, greedy: bool = False) -> tuple[int, int, dict]:
-        f, open_ = features(env, self.solo, self.scale), self.choices(env)
-        running = env.status == 1
+        (f, running), open_ = self.seen(env), self.choices(env)
         x2, xs = self.net.forward(self.params, self.e[None], f[None], running[None])
         logp = self.net.logits(self.params, x2, open_[None]).data[0]
         p = np.exp(logp)
@@ -91,25 +97,61 @@ class Policy:
 
     def rollout(self, env, seed: int, greedy: bool = False) -> tuple[float, list[dict], list[tuple]]:
         """Makespan, decisions, and what is known of finishes: (state, query, time to it)."""
-        rng, steps, finishes = np.random.default_rng(seed), [], []
+        rng, steps, finishes, queue = np.random.default_rng(seed), [], [], []
         while not env.done():
             while env.idle() and (env.status == 0).any():
-                q, k, step = self.act(env, rng, greedy)
-                env.submit(q, k)
-                steps.append(step)
-            f, running = features(env, self.solo, self.scale), env.status == 1
+                if not queue:
+                    x, k, step = self.act(env, rng, greedy)
+                    steps.append(step)
+                    queue = self.submissions(x, k)
+                env.submit(*queue.pop(0))
+            f, running = self.seen(env)
             q, passed = env.advance()
-            finishes.append((f, running, q, passed / self.scale))
+            finishes.append((f, running, self.item(q), passed / self.scale))
         return env.t, steps, finishes
 
 
+class ClusterPolicy(Policy):
+    """Chooses (cluster, configuration); the cluster's queries are then submitted one by one, longest first.
+
+    A cluster's embedding is the sum of its queries', its running features are their mean, and it is running while
+    one of them is. A query takes the cluster's configuration, or the nearest one that its own mask allows (the
+    cheaper of two); a cluster may choose what at least one of its queries allows.
+    """
+
+    def embeddings(self) -> np.ndarray:
+        self.owner = np.unique(self.cfg.clusters, return_inverse=True)[1]
+        cost = self.solo.mean(1)
+        self.members = [sorted(np.flatnonzero(self.owner == c).tolist(), key=lambda q: -cost[q]) for c in range(self.owner.max() + 1)]
+        e = self.demands.features()
+        return np.stack([e[m].sum(0) for m in self.members])
+
+    def seen(self, env) -> tuple[np.ndarray, np.ndarray]:
+        f, running = super().seen(env)
+        return np.stack([f[m].mean(0) for m in self.members]), np.array([running[m].any() for m in self.members])
+
+    def choices(self, env) -> np.ndarray:
+        open_ = super().choices(env)
+        return np.stack([open_[m].any(0) for m in self.members])
+
+    def submissions(self, q: int, config: int) -> list[tuple[int, int]]:
+        return [(m, min(np.flatnonzero(self.mask[m]).tolist(), key=lambda k: (abs(k - config), k))) for m in self.members[q]]
+
+    def item(self, q: int) -> int:
+        return int(self.owner[q])
+
+
+def policy_of(demands: Demands, cfg: TrainConfig, params: dict | None = None) -> Policy:
+    return (Policy if cfg.clusters is None else ClusterPolicy)(demands, cfg, params)
+
+
 def collect(spark: SparkSession, policy: Policy, seeds: list[int], greedy: bool = False, env: str = "executor", extra=None) -> list[tuple[float, list, list]]:
     """Rollouts of all seeds, a few in each task."""
     sent = spark.sparkContext.broadcast(pickle.dumps((policy.demands, policy.cfg, policy.params, extra)))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         demands, cfg, params, sim = pickle.loads(sent.value)
-        own = Policy(demands, cfg, params)
+        own = policy_of(demands, cfg, params)
         for frame in frames:
             out = []
             for seed in frame["id"].tolist():
@@ -227,7 +269,7 @@ def train(spark: SparkSession, demands: Demands, cfg: TrainConfig, policy: Polic
     Every ``evaluate_every`` iterations (and at the end) the greedy policy plays evaluation rounds on the
     training environment; their mean decides what is kept, and log rows have it as ``evaluated``.
     """
-    policy = policy or Policy(demands, cfg)
+    policy = policy or policy_of(demands, cfg)
     opt, log, held, best, rounds = Adam(cfg.rate), [], [], (np.inf, policy.params), 0
     for i in range(cfg.iterations):
         batch = collect(spark, policy, [cfg.seed * 100_003 + i * cfg.rollouts + k for k in range(cfg.rollouts)], env=env, extra=extra)
@@ -288,6 +330,13 @@ class SafePolicy:
         recent = self.spans[-self.window :]
         return len(recent) == self.window and float(np.mean(recent)) > self.fallback_span * (1 + self.tolerance)
 
+    def refresh(self, fine_tune: Callable[[Policy], Policy]) -> bool:
+        """Where recent rounds are worse: the policy that fine_tune makes of this one, with an empty record."""
+        if not self.degraded():
+            return False
+        self.policy, self.spans = fine_tune(self.policy), []
+        return True
+
     def play(self, env, seed: int = 0) -> tuple[str, float]:
         """One round: by the policy, or by the fallback order (which is not recorded: fresh parameters start a new one)."""
         if self.degraded():

@@ -5,9 +5,10 @@ import pytest
 
 from batchplan.learn.autograd import Tensor, gradients
 from batchplan.learn.executor import Demands, Executor, run_order
+from batchplan.learn.gain_model import GainModel, completed
 from batchplan.learn.networks import StateEncoder
 from batchplan.learn.simulator import Simulator
-from batchplan.learn.training import Policy, SafePolicy, TrainConfig, advantages, evaluate, heuristics, train
+from batchplan.learn.training import ClusterPolicy, Policy, SafePolicy, TrainConfig, advantages, evaluate, heuristics, policy_of, train, variant
 
 
 @pytest.fixture
@@ -38,6 +39,19 @@ def test_gradients_by_finite_differences():
         assert grads[name][at] == pytest.approx((ends[0] - ends[1]) / 2e-6, rel=1e-4, abs=1e-7)
 
 
+def test_joined_state_sees_every_slot():
+    rng = np.random.default_rng(4)
+    net = StateEncoder(3, 4, 5, d=8, kind="joined", slots=3)
+    p = net.init(0, {"q_policy": 2})
+    e, f, running = rng.random((1, 5, 3)), rng.random((1, 5, 4)), np.array([[True, False, True, False, False]])
+    whole, state = net.forward(p, e, f, running)
+    assert p["glob_w0"].shape[0] == 8 + 5 * 4 and p["fin_w0"].shape[0] == 2 * 8 + 3 * 4
+    # two runs that trade half a feature have the same mean, but not the same slots
+    turned = f.copy()
+    turned[0, 0, 0], turned[0, 2, 0] = f[0, 0, 0] + 0.5, f[0, 2, 0] - 0.5
+    assert not np.allclose(whole.data, net.forward(p, e, turned, running)[0].data) and state.shape == (1, 8)
+
+
 def test_permutation_equivariance():
     rng = np.random.default_rng(2)
     net = StateEncoder(3, 4, 6, d=8)
@@ -95,6 +109,46 @@ def test_larger_tables_are_not_a_factor(spark):
     assert spans[1] > 4.2 * spans[0]
 
 
+def test_cluster_policy(spark, demands):
+    cfg = TrainConfig(clusters=(0, 0, 2, 2, 2, 5, 5, 7), iterations=4, rollouts=6)
+    policy = policy_of(demands, cfg)
+    policy.mask[3] = [True, False, True]
+    env = Executor(demands, 3)
+    _, steps, finishes = policy.rollout(env, 1)
+    assert isinstance(policy, ClusterPolicy) and policy.e.shape[0] == 4 and np.allclose(policy.e[1], demands.features()[2:5].sum(0))
+    assert len(steps) == 4 and all(s["open"].shape == (4, 3) for s in steps) and sorted(q for q, *_ in env.log) == list(range(8))
+    assert len(finishes) == 8 and {x[2] for x in finishes} == {0, 1, 2, 3}
+    order = [policy.item(q) for q, *_ in sorted(env.log, key=lambda x: x[3])]
+    assert len([k for k in range(1, 8) if order[k] != order[k - 1]]) == 3  # a cluster is drained before the next
+    assert dict(policy.submissions(1, 1))[3] == 0 and dict(policy.submissions(1, 2))[3] == 2  # repaired to the nearest, cheaper first
+    assert all(policy.mask[q, k] for q, k, *_ in env.log)
+    trained, log = train(spark, demands, cfg)
+    assert len(trained.e) == 4 and np.isfinite(evaluate(spark, trained, 2)[0]) and log[-1]["rounds"] == 4 * 6 + 2 * 5
+
+
+def test_gain_model_learns_and_has_no_direction():
+    rng = np.random.default_rng(3)
+    e = rng.random((24, 4))
+    every = [(i, j, float(e[i] @ e[j] + 0.05 * rng.standard_normal())) for i in range(24) for j in range(i + 1, 24)]
+    known, held = [x for k, x in enumerate(every) if k % 4], every[::4]
+    model = GainModel(e).fit(known)
+    pairs, truth = [x[:2] for x in held], np.array([x[2] for x in held])
+    guess = np.mean([x[2] for x in known])
+    assert ((model.predict(pairs) - truth) ** 2).mean() < 0.5 * ((guess - truth) ** 2).mean()
+    assert np.allclose(model.predict(pairs), model.predict([(j, i) for i, j in pairs]))
+    whole = completed(e, known)
+    assert whole[: len(known)] == known and sorted(x[:2] for x in whole) == [x[:2] for x in every] and completed(e, every) == every
+
+
+def test_degraded_policy_is_trained_again(demands):
+    safe = SafePolicy(Policy(demands, TrainConfig()), fallback_span=1e-3, window=2)
+    fresh = Policy(demands, variant(TrainConfig(), seed=5))
+    assert not safe.refresh(lambda p: fresh)
+    for k in range(2):
+        safe.play(Executor(demands, 3, seed=k), k)
+    assert safe.refresh(lambda p: fresh) and safe.policy is fresh and safe.play(Executor(demands, 3), 0)[0] == "policy"
+
+
 def test_safe_policy_gives_way(demands):
     policy = Policy(demands, TrainConfig())
     safe = SafePolicy(policy, fallback_span=1e-3, window=3)

@@ -42,6 +42,21 @@ def test_backend_runs_all_once(spark):
     assert sorted(r[2] for r in rows) == [0, 1, 2] and all(r[6] >= r[5] for r in rows)
 
 
+def test_policy_on_the_backend(spark):
+    from batchplan.learn.plan_demands import demands_from_plans
+    from batchplan.learn.training import Policy, TrainConfig
+
+    batch = wl.star22()[:4]
+    back, policy = be.SparkBackend(spark, SF, 2), Policy(demands_from_plans(spark, SF, batch), TrainConfig(n_conn=2))
+    choice = be.PolicyChoice(policy, 0.5)
+    rows = back.run(batch, choice, "learned")
+    assert sorted(r[2] for r in rows) == [0, 1, 2, 3] and all(policy.mask[r[2], r[3]] for r in rows) and len(choice.steps) == 4
+    assert [int((s["f"][:, 0] == 1).sum()) for s in choice.steps] == [4, 3, 2, 1]  # pending queries of each state
+    before = {k: v.copy() for k, v in policy.params.items()}
+    log = be.fine_tune(back, batch, policy, 0.5, rounds=2)
+    assert len(log) == 8 and any((before[k] != v).any() for k, v in policy.params.items())
+
+
 def test_runs_source(spark, tmp_path):
     (tmp_path / "a.json").write_text("\n".join(json.dumps({"round_id": "r", "run_id": k, "query_id": 1, "start_us": 0, "finish_us": 5}) for k in range(3)))
     runs_source.register(spark)
