@@ -164,3 +164,6 @@ def test_simulator_beats_guessing(demands):
     accuracy, _ = Simulator(policy.e).fit(samples[:cut], epochs=20).score(samples[cut:])
     longest = np.mean([x[0][:, -2].argmax() == x[2] for x in samples[cut:]])
     assert accuracy > longest
+    world = Simulator(policy.e).world(demands, 3, cfg.profile)
+    assert np.allclose(world.solo, policy.solo) and world.scale == policy.scale  # of the log, as the policy's
+    assert len(policy.rollout(world, 0)[1]) == demands.n and world.done()
