@@ -4,8 +4,9 @@ Links point from their greater to their lesser end. A round first hangs every gr
 node on the least node that the node knows, then does the same with its lesser neighbours; each half
 is a minimum that is combined before it is shuffled and a join, so a hub that a third of all links
 share is one aggregated row, and Spark splits its partition in the join. No round makes more links than
-there were. Rounds are written to the shared folder, which cuts the lineage; nothing but a count and
-a checksum reaches the driver, at every size of graph.
+there were. The links are stars, and the work is done, when no node knows two roots; the table that shows
+it has the minima that the next round starts with. Rounds are written to the shared folder, which cuts the
+lineage; nothing but a count reaches the driver, at every size of graph.
 """
 
 from __future__ import annotations
@@ -16,29 +17,20 @@ from pyspark.sql import functions as F
 from batchplan.llm.shared import written
 
 
-def _state(links: DataFrame) -> tuple:
-    return tuple(links.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(20,0)"))).first())
-
-
 def connected_components(links: DataFrame) -> DataFrame:
     """links (a, b: long) to (node, component): the smallest node that each linked node can reach.
 
     Null ends and links of a node with itself count for nothing; no links give no rows.
     """
     stars = links.where("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct()
-    stars = written(stars, "cc-links")
-    state = _state(stars)
-    while state[0]:
-        # the least of each node and its neighbours; a node that is no lesser end has no use for it
-        least = stars.select("lo", F.col("lo").alias("by")).unionByName(stars.select(F.col("hi").alias("lo"), F.col("lo").alias("by")))
-        least = least.groupBy(F.col("lo").alias("at")).agg(F.min("by").alias("m"))
-        large = stars.join(least, F.col("lo") == F.col("at")).select("hi", F.col("m").alias("lo"))
+    while True:
+        stars = written(stars, "cc-links")
+        roots = stars.select(F.explode(F.array("hi", "lo")).alias("node"), "lo")
+        known = written(roots.groupBy("node").agg(F.min("lo").alias("m"), F.max("lo").alias("other")), "cc-known")
+        if not known.where("m <> other").count():
+            return known.select("node", F.col("m").alias("component"))
+        large = stars.join(known, F.col("lo") == F.col("node")).select("hi", F.col("m").alias("lo"))
         top = large.groupBy(F.col("hi").alias("at")).agg(F.min("lo").alias("m"))
         small = large.join(top, F.col("hi") == F.col("at")).select("hi", "lo", "m")
         pairs = small.select(F.explode(F.array(F.struct("hi", F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))).alias("p"))
-        stars = written(pairs.select("p.hi", "p.lo").where("hi <> lo").distinct(), "cc-links")
-        before, state = state, _state(stars)
-        if state == before:
-            break
-    ends = stars.select(F.col("hi").alias("node"), F.col("lo").alias("component"))
-    return ends.unionByName(stars.select(F.col("lo").alias("node"), F.col("lo").alias("component")).distinct())
+        stars = pairs.select("p.hi", "p.lo").where("hi <> lo").distinct()

@@ -48,7 +48,7 @@ from batchplan.llm.shared import bound_arrow, forget_shuffles, release_since, te
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
 #: Pairs that a tree gives for two components in its first round; times as many in each round after it.
-FEW, MORE = 4, 64
+FEW, MORE = 64, 64
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.
@@ -470,11 +470,10 @@ def _wanted(texts: DataFrame, slim: DataFrame, classes: DataFrame) -> DataFrame:
     return written(read.join(wanted, "id").select("cls", "text"), "ngram-texts")
 
 
-def _held(blocks: DataFrame, links: DataFrame | None) -> DataFrame:
+def _held(blocks: DataFrame, roots: DataFrame | None) -> DataFrame:
     """key, cls, component of the blocks that still hold two components."""
-    if links is None:
+    if roots is None:
         return blocks.withColumn("component", F.col("cls"))
-    roots = connected_components(links)
     held = written(blocks.join(roots, F.col("cls") == F.col("node"), "left").select("key", "cls", F.coalesce("component", "cls").alias("component")), "ngram-held")
     mixed = held.groupBy(F.col("key").alias("k")).agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
     return held.join(mixed, F.col("key") == F.col("k"), "left_semi")
@@ -500,27 +499,29 @@ def _tree_pairs(held: DataFrame, points: DataFrame, at: Bound, most: int) -> Dat
     return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
 
 
-def class_links(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame], few: int = FEW) -> DataFrame:
-    """Links (a, b) between classes that share a block: enough to join all that links join.
+def class_components(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """(node, component) of the classes that are linked with another that shares a block.
 
     points: c, point of each class. at: the least sum of minima that the points of a link have.
-    verify: the links of a table of pairs (a, b).
+    verify: the links of a table of pairs (a, b), written. New links are joined with the roots that are known,
+    which are stars already, and not with the links before them.
     """
-    links, tried, step, most, done = None, None, 0, few, False
+    roots, tried, step, most, done = None, None, 0, FEW, False
     while not done:
-        held = _held(blocks, links)
+        held = _held(blocks, roots)
         if step < STARS:
             pairs = written(_star_pairs(held, points, step, at), "ngram-pairs")
         else:
             pairs = written(_tree_pairs(held, points, at, most), "ngram-pairs")
-            done, most = pairs.where("cut").isEmpty(), most * MORE
+            done, most = not pairs.where("cut").count(), most * MORE
             pairs, before = pairs.select("a", "b"), tried
             tried = pairs  # it has all of those before it, but for components that are joined by now
             pairs = pairs if before is None else pairs.join(before, ["a", "b"], "left_anti")
-        found = verify(pairs)
-        links, step = found if links is None else links.unionByName(found), step + 1
+        found, step = verify(pairs), step + 1
+        if roots is None or found.count():
+            roots = connected_components(found if roots is None else found.unionByName(roots.toDF("a", "b")))
         forget_shuffles(blocks.sparkSession)
-    return links
+    return roots
 
 
 def _candidate_blocks(texts: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
@@ -547,7 +548,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     wanted = _wanted(texts, slim, near)
     points = written(wanted.mapInArrow(tidied(_points(n), "word_hashes"), "c long, point binary"), "ngram-points")
     verify = tidied(_verify(n, num, den), "word_hashes")
-    joined = connected_components(class_links(blocks, points, Threshold(num, den), lambda pairs: verified(pairs, wanted, verify)))
+    joined = class_components(blocks, points, Threshold(num, den), lambda pairs: verified(pairs, wanted, verify))
     names = slim.where("cls IS NOT NULL").groupBy("cls").agg(F.min("id").alias("least"))
     rooted = written(names.join(joined, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("component", "cls").alias("root")), "ngram-roots")
     release_since(spark, mark, keep=[rooted, slim])
