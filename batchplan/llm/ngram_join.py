@@ -48,7 +48,7 @@ from batchplan.llm.shared import bound_arrow, forget_shuffles, release_since, te
 #: Classes in a tile of an R-tree, on average; rounds of stars before the trees.
 TILE, STARS = 512, 2
 #: Pairs that a tree gives for two components in its first round; times as many in each round after it.
-FEW, MORE = 64, 64
+FEW, MORE = 4, 64
 #: Groups of n-grams in a point: at least, and at most.
 GROUPS = (64, 2048)
 #: Classes of a block that are counted; larger blocks count as equal.
@@ -499,14 +499,14 @@ def _tree_pairs(held: DataFrame, points: DataFrame, at: Bound, most: int) -> Dat
     return found.groupBy("a", "b").agg(F.max("cut").alias("cut"))
 
 
-def class_components(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def class_components(blocks: DataFrame, points: DataFrame, at: Bound, verify: Callable[[DataFrame], DataFrame], few: int = FEW) -> DataFrame:
     """(node, component) of the classes that are linked with another that shares a block.
 
     points: c, point of each class. at: the least sum of minima that the points of a link have.
     verify: the links of a table of pairs (a, b), written. New links are joined with the roots that are known,
     which are stars already, and not with the links before them.
     """
-    roots, tried, step, most, done = None, None, 0, FEW, False
+    roots, tried, step, most, done = None, None, 0, few, False
     while not done:
         held = _held(blocks, roots)
         if step < STARS:
