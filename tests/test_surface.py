@@ -17,6 +17,16 @@ def test_sql_functions(spark):
     assert spark.sql("SELECT improvement(8D, 10D), clipped(1.5D, 1D, 0.2D)").first()[:] == (0.19999999999999996, 1.2)
 
 
+def test_sessions_are_no_table_in_memory(spark):
+    from __spark_entry__ import queries
+
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key)
+    got = queries()["stream_sessions"](spark, SF)
+    assert got.inputFiles() and got.agg({"runs": "sum"}).first()[0] == spark.read.parquet(f"{SF}/events.parquet").where("round(value * 100) > 0").count()
+    assert spark.conf.get(key) == before
+
+
 def test_running_set_stream(spark, tmp_path):
     rows = [("e", 1, 10, "submit", 0), ("e", 2, 20, "submit", 1), ("e", 2, 20, "finish", 5), ("e", 3, 30, "submit", 5), ("e", 1, 10, "finish", 9), ("e", 3, 30, "finish", 12)]
     frame = spark.createDataFrame(rows, "env string, run_id long, query_id long, kind string, t_us long")
