@@ -10,6 +10,18 @@ import numpy as np
 MEMORY = 400_000
 
 
+class _Numbers(dict):
+    """piece -> its number; a piece that is new gets the next one, so that each piece is looked up once."""
+
+    def __init__(self) -> None:
+        self.new: list[str] = []
+
+    def __missing__(self, piece: str) -> int:
+        self[piece] = n = len(self)
+        self.new.append(piece)
+        return n
+
+
 class PieceStore:
     """piece -> token ids, filled by ``encode`` for the pieces that are new."""
 
@@ -18,7 +30,7 @@ class PieceStore:
         self.clear()
 
     def clear(self) -> None:
-        self.index: dict[str, int] = {}
+        self.index = _Numbers()
         self.flat = np.zeros(1 << 16, np.uint32)
         self.used = 0
         self.starts = np.zeros(1 << 14, np.int64)
@@ -27,19 +39,27 @@ class PieceStore:
     def _grown(self, a: np.ndarray, n: int) -> np.ndarray:
         return a if n <= len(a) else np.concatenate([a, np.zeros(max(n, 2 * len(a)) - len(a), a.dtype)])
 
-    def learn(self, pieces: Iterable[str]) -> None:
-        new = [p for p in set(pieces) if p not in self.index]
-        if not new:
+    def numbers(self, pieces: Sequence[str]) -> np.ndarray:
+        """The pieces' numbers; ``learn`` is to be called before their ids are taken."""
+        return np.fromiter(map(self.index.__getitem__, pieces), np.int64, len(pieces))
+
+    def learn(self) -> None:
+        """Encodes the pieces that are new."""
+        if not self.index.new:
             return
-        ids, lens = self.encode(new)
-        n, k = self.used, len(self.index)
+        new, self.index.new = self.index.new, []
+        try:
+            ids, lens = self.encode(new)
+        except BaseException:
+            self.clear()  # numbers without ids are of no use
+            raise
+        n, k = self.used, len(self.index) - len(new)
         self.flat = self._grown(self.flat, n + len(ids))
         self.flat[n : n + len(ids)] = ids
         self.starts, self.lens = self._grown(self.starts, k + len(new)), self._grown(self.lens, k + len(new))
         self.starts[k : k + len(new)] = n + np.cumsum(lens) - lens
         self.lens[k : k + len(new)] = lens
         self.used = n + len(ids)
-        self.index.update(zip(new, range(k, k + len(new)), strict=True))
 
     def ids(self, pieces: Sequence[str]) -> np.ndarray:
         """The pieces' ids, one after another."""
@@ -47,7 +67,12 @@ class PieceStore:
 
     def ids_and_lens(self, pieces: Sequence[str]) -> tuple[np.ndarray, np.ndarray]:
         """The pieces' ids, one after another, and each piece's number of them."""
-        which = np.fromiter(map(self.index.__getitem__, pieces), np.int64, len(pieces))
+        which = self.numbers(pieces)
+        self.learn()
+        return self.taken(which)
+
+    def taken(self, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same for the pieces' numbers."""
         lens = self.lens[which]
         total = int(lens.sum())
         at = np.repeat(self.starts[which] - (np.cumsum(lens) - lens), lens) + np.arange(total)

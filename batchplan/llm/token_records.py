@@ -135,7 +135,6 @@ class WordTokenizer:
         for part in stretches(text, STRETCH, self._break):
             words = part.split()
             self.store.room()
-            self.store.learn(words)
             parts.append(self.store.ids(words))
         return parts[0] if len(parts) == 1 else np.concatenate(parts)
 

@@ -218,3 +218,36 @@ def test_pipeline_against_its_operators(spark):
     assert near == {ids[k] for k, v in groups.items() if v[1] == k}
     out = corpus_pipeline.run(spark, SF)
     assert out.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] and {r.doc_id for r in out.select("doc_id").distinct().collect()} <= near
+
+
+def test_pieces_are_looked_up_once_and_encoded_once():
+    import numpy as np
+
+    from batchplan.llm.pieces import PieceStore
+
+    class Piece(str):
+        hashed = 0
+
+        def __hash__(self):
+            Piece.hashed += 1
+            return super().__hash__()
+
+    asked = []
+
+    def encode(pieces):
+        asked.extend(pieces)
+        if "bad" in pieces:
+            raise ValueError("bad")
+        return np.array([ord(c) for p in pieces for c in p], np.uint32), np.array([len(p) for p in pieces])
+
+    store = PieceStore(encode, 3)
+    assert store.ids(["ab", "c", "ab"]).tolist() == [97, 98, 99, 97, 98] and store.ids([]).tolist() == []
+    known = [Piece("c")] * 50
+    assert store.ids(known).tolist() == [99] * 50 and Piece.hashed == 50
+    assert store.ids_and_lens(["d", "ab", "", "d"])[1].tolist() == [1, 2, 0, 1] and sorted(asked) == ["", "ab", "c", "d"]
+    with pytest.raises(ValueError, match="bad"):
+        store.ids(["e", "bad"])
+    assert store.ids(["e", "c"]).tolist() == [101, 99]
+    store.ids(["f", "g"])
+    store.room()
+    assert not store.index and store.ids(["g"]).tolist() == [103]
