@@ -36,10 +36,10 @@ MASK_DELTA = 0xA282EAD8
 HEADER = "<qBB"
 #: Characters of one document that are split into words at a time.
 STRETCH = 1 << 20
-#: Distinct words that a worker remembers.
-WORDS = 1_000_000
+#: Distinct words, and distinct runs of letters and of marks, that a worker remembers.
+WORDS, PARTS = 1_000_000, 600_000
 #: Marks that a word may end with; the apostrophe is none, as it can begin a token of letters.
-MARKS = '.,;:!?|#")]}'
+MARKS = '.,;:!?|#")]}$%&*'
 #: Separators that Python's split() sees and the tokenizer does not.
 ODD_SEPARATORS = re.compile("[\x1c-\x1f]")
 
@@ -72,9 +72,9 @@ class WordTokenizer:
     """Ids of whole texts from a tokenizers file whose pre-tokenizer drops white space.
 
     No token spans white space, so a text's ids are those of its words in order; each distinct
-    word goes through the library once. Letters and the marks after them are always split, so
-    words share their letters' ids; many letter runs go through the library in one call, and the
-    tokens that end a word tell them apart. Texts with separators that only Python treats as
+    word is split once. Letters and the marks after them are always split, so words share their
+    letters' ids, and each run of letters goes through the library once; many runs go in one call,
+    and the tokens that end a word tell them apart. Texts with separators that only Python treats as
     white space go through the library whole.
     """
 
@@ -83,7 +83,7 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.store = PieceStore(self._encode, WORDS)
+        self.store, self.parts = PieceStore(self._encode, WORDS), PieceStore(self._encode_parts, PARTS)
         self.width = 2 if self.tok.get_vocab_size() <= 1 << 16 else 4
         suffix = json.loads(self.tok.to_str())["model"].get("end_of_word_suffix")
         self.ends = np.zeros(max(self.tok.get_vocab().values()) + 1, bool)
@@ -93,50 +93,80 @@ class WordTokenizer:
     def _each(self, pieces: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tok.encode_batch_fast(pieces, add_special_tokens=False)]
 
-    def _letters(self, runs: list[str]) -> list[list[int]]:
-        """The ids of each run of letters, many in one call."""
-        found: list[list[int]] = []
+    def _letters(self, runs: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of runs of letters, one run after another, and each run's number of them; many in one call."""
+        flats, lens = [], []
         for a in range(0, len(runs), 256):
-            ids = self._each([" ".join(runs[a : a + 256])])[0]
-            cuts = (np.flatnonzero(self.ends[ids]) + 1).tolist()
-            if len(cuts) == len(runs[a : a + 256]) and cuts[-1] == len(ids):
-                found += [ids[x:y] for x, y in zip([0, *cuts[:-1]], cuts, strict=True)]
-            else:
-                found += self._each(runs[a : a + 256])
-        return found
+            some = runs[a : a + 256]
+            ids = np.array(self._each([" ".join(some)])[0], np.uint32)
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            if len(cuts) != len(some) or cuts[-1] != len(ids):
+                each = self._each(some)
+                ids, cuts = np.array([i for x in each for i in x], np.uint32), np.cumsum([len(x) for x in each])
+            flats.append(ids)
+            lens.append(np.diff(cuts, prepend=0))
+        return (np.concatenate(flats), np.concatenate(lens)) if flats else (np.zeros(0, np.uint32), np.zeros(0, np.int64))
+
+    def _encode_parts(self, parts):
+        """Ids and their numbers for parts of words: runs of letters first, then the others, put back in order."""
+        alpha = np.fromiter((p.isalpha() for p in parts), bool, len(parts))
+        run_ids, run_lens = self._letters([p for p in parts if p.isalpha()])
+        each = self._each([p for p in parts if not p.isalpha()])
+        lens = np.empty(len(parts), np.int64)
+        lens[alpha], lens[~alpha] = run_lens, [len(x) for x in each]
+        ids, of_run = np.empty(int(lens.sum()), np.uint32), np.repeat(alpha, lens)
+        ids[of_run], ids[~of_run] = run_ids, [i for x in each for i in x]
+        return ids, lens
 
     def _encode(self, words):
-        split, pieces = [], {}
-        for w in words:
+        parts, counts = [], np.ones(len(words), np.int64)
+        for n, w in enumerate(words):
             run = w.rstrip(MARKS)
             if run.isalpha():
-                run = run.lower() if run.isascii() else run
-                split.append((run, w[len(run) :]))
-                pieces[run] = None
+                parts.append(run.lower() if run.isascii() or max(run) <= "\xff" else run)
+                if len(run) < len(w):
+                    parts.append(w[len(run) :])
+                    counts[n] = 2
             else:
-                split.append((None, w))
-        runs = list(pieces)
-        pieces = dict(zip(runs, self._letters(runs), strict=True))
-        rest = list({tail for _, tail in split if tail})
-        others = dict(zip(rest, self._each(rest), strict=True)) if rest else {}
-        ids = [(pieces[run] if run is not None else []) + (others[tail] if tail else []) for run, tail in split]
-        lens = np.fromiter(map(len, ids), np.int64, len(ids))
-        return np.fromiter((i for x in ids for i in x), np.uint32, int(lens.sum())), lens
+                parts.append(w)
+        self.parts.room()
+        ids, lens = self.parts.ids_and_lens(parts)
+        return ids, np.add.reduceat(lens, np.cumsum(counts) - counts)
 
     @staticmethod
     def _break(text: str, at: int) -> int:
         m = re.compile(r"\s").search(text, at)
         return m.start() if m else len(text)
 
-    def ids(self, text: str) -> np.ndarray:
-        if ODD_SEPARATORS.search(text):
-            return np.array(self.tok.encode(text, add_special_tokens=False).ids, np.uint32)
-        parts = []
-        for part in stretches(text, STRETCH, self._break):
-            words = part.split()
+    def ids_many(self, texts: list[str]) -> list[np.ndarray]:
+        """Each text's ids; the new words of about ``STRETCH`` characters are learnt at once."""
+        parts: list[list[np.ndarray]] = [[] for _ in texts]
+        group: list[tuple[int, list[str]]] = []
+        held = 0
+
+        def learn() -> None:
             self.store.room()
-            parts.append(self.store.ids(words))
-        return parts[0] if len(parts) == 1 else np.concatenate(parts)
+            numbers = [(n, self.store.numbers(words)) for n, words in group]
+            self.store.learn()
+            for n, which in numbers:
+                parts[n].append(self.store.taken(which)[0])
+            group.clear()
+
+        for n, text in enumerate(texts):
+            if ODD_SEPARATORS.search(text):
+                parts[n].append(np.array(self.tok.encode(text, add_special_tokens=False).ids, np.uint32))
+                continue
+            for part in stretches(text, STRETCH, self._break):
+                group.append((n, part.split()))
+                held += len(part)
+                if held >= STRETCH:
+                    learn()
+                    held = 0
+        learn()
+        return [p[0] if len(p) == 1 else np.concatenate(p) for p in parts]
+
+    def ids(self, text: str) -> np.ndarray:
+        return self.ids_many([text])[0]
 
 
 def tokenizer(path: str) -> WordTokenizer:
@@ -156,9 +186,8 @@ def write_token_records(docs: DataFrame, path: str, vocabulary: str, end_id: int
         name, attempt = f"part-{task.partitionId():06d}", f"attempt-{task.taskAttemptId()}"
         out, at, offsets, tokens = None, 0, [], 0
         for batch in batches:
-            for key, text in zip(batch.column(0), batch.column(1), strict=True):
-                key = key.as_py()
-                ids = np.append(tok.ids(text.as_py()), np.uint32(end_id))
+            for key, found in zip(batch.column(0).to_pylist(), tok.ids_many(batch.column(1).to_pylist()), strict=True):
+                ids = np.append(found, np.uint32(end_id))
                 data = frame(struct.pack(HEADER, key or 0, key is None, tok.width) + ids.astype(f"<u{tok.width}").tobytes())
                 out = out or fs.open_output_stream(f"{root}/.{attempt}-{name}.rec", buffer_size=1 << 20)
                 out.write(data)

@@ -251,3 +251,13 @@ def test_pieces_are_looked_up_once_and_encoded_once():
     store.ids(["f", "g"])
     store.room()
     assert not store.index and store.ids(["g"]).tolist() == [103]
+
+
+def test_letters_that_words_share_go_through_the_library_once():
+    tok = token_records.WordTokenizer(public_tokenizers.path("word_bpe_49k.json"))
+    asked, each = [], tok._each
+    tok._each = lambda pieces: asked.extend(w for p in pieces for w in p.split(" ")) or each(pieces)
+    texts = ["grumel Grumel$$ ètre", "grumel%&* ÈTRE, grumel.$", "", "ΟΔΟΣ grumel's $ x1$ ètre%"]
+    found = [tok.ids(t).tolist() for t in texts[:2]] + [x.tolist() for x in tok.ids_many(texts[2:])]
+    assert found == [tok.tok.encode(t, add_special_tokens=False).ids for t in texts]
+    assert asked.count("grumel") == 1 and asked.count("ètre") == 1 and len(asked) == len(set(asked))
