@@ -8,7 +8,8 @@ import pytest
 from batchplan import registry
 from batchplan.operators import gain as gn
 from batchplan.operators import intervals as iv
-from batchplan.operators.overlaps import never_met, overlap_sums
+from batchplan.operators import stats as st
+from batchplan.operators.overlaps import gain_blocks, never_met, overlap_sums
 from tests.test_scheduling import SF, log_of
 from tests.test_sweep import rows_of
 
@@ -26,6 +27,34 @@ def test_sums_and_unseen_are_the_pairs(spark, per_class):
     assert sorted(unseen) == sorted(set(itertools.combinations(q, 2)) - want.keys()) and unseen
 
 
+@pytest.mark.parametrize("per_class", [1, 3, 100])
+def test_blocks_are_the_matrix_of_gains(spark, per_class):
+    log = log_of(spark, [*rows_of(5, 3), (3, 77, 0, 10)])
+    stats = st.avg_runtime(log)
+    names, times = (np.array(x) for x in zip(*sorted((r.query_id, r.avg_us) for r in stats.collect()), strict=True))
+    gain = gn.gain_from_sums(overlap_sums(log, per_class), stats)
+    want = {(r.qi, r.qj): r.gain for r in gain.collect()}
+    got: dict = {}
+    for r in gain_blocks(log, names, times, per_class).collect():
+        left, right = (np.frombuffer(x, np.int64).tolist() for x in (r.left, r.right))
+        for (i, j), g in zip(itertools.product(left, right), np.frombuffer(r.gain).tolist(), strict=True):
+            if (i, j) not in got:
+                got[i, j] = got[j, i] = g
+            assert got[i, j] == g
+    assert all(got[p] == got[p[::-1]] == want.get(p, 0.0) for p in itertools.combinations(names.tolist(), 2))
+    for a, b in zip(gn.cluster_log(log, stats, 2), gn.cluster_by_gain(gain, stats, 2), strict=True):
+        assert a.schema == b.schema and a.collect() == b.collect()
+
+
+def test_clusters_get_blocks_not_rows(spark, monkeypatch):
+    sent, merged = [], gn._merged
+    monkeypatch.setattr(gn, "_merged", lambda rows, *how: sent.append(rows.columns) or merged(rows, *how))
+    assert registry.QUERIES["cluster_merges"](spark, SF).count() and sent == [["left", "right", "gain"]]
+    monkeypatch.setattr(gn, "ONE_TASK", 1)
+    few = log_of(spark, rows_of(5, 3))
+    assert gn.cluster_log(few, st.avg_runtime(few), 2)[0].count() == few.select("query_id").distinct().count()
+
+
 def test_gains_make_no_pairs_of_runs(spark):
     for name in ("scheduling_gain", "unseen_pairs", "gain_symmetry"):
         plan = registry.QUERIES[name](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
