@@ -14,7 +14,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from batchplan.llm import byte_bpe, exact_dedup, language_id, mixing, ngram_join
-from batchplan.llm.shared import made_since, release_since, release_tables, table, written, written_mark
+from batchplan.llm.shared import made_since, release_since, release_tables, table, trim_executors, written, written_mark
 
 #: Least share of a document's character n-grams that must fit its language.
 LEAST_FIT = 0.3
@@ -25,11 +25,12 @@ _left: list[str] = []
 
 
 def _tidied(stage: Callable) -> Callable:
-    """stage, which first deletes what the stage before it has left, but for what docs still reads."""
+    """stage, which first deletes what the stage before it has left, but for what docs still reads, and its heap."""
 
     @functools.wraps(stage)
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
         release_tables(spark, list(_left), keep=[docs])
+        trim_executors(spark)
         mark = written_mark()
         out = stage(spark, docs, sf_dir)
         _left[:] = made_since(mark)

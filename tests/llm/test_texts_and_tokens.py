@@ -261,3 +261,13 @@ def test_letters_that_words_share_go_through_the_library_once():
     found = [tok.ids(t).tolist() for t in texts[:2]] + [x.tolist() for x in tok.ids_many(texts[2:])]
     assert found == [tok.tok.encode(t, add_special_tokens=False).ids for t in texts]
     assert asked.count("grumel") == 1 and asked.count("ètre") == 1 and len(asked) == len(set(asked))
+
+
+def test_stages_begin_with_a_trimmed_heap(spark, monkeypatch):
+    import corpus_pipeline
+    from batchplan.llm import shared
+
+    trimmed = []
+    monkeypatch.setattr(corpus_pipeline, "trim_executors", lambda s: trimmed.append(s) or shared.trim_executors(s))
+    docs = docs_of(spark, ["the and of", None])
+    assert corpus_pipeline.encode_bytes(spark, docs, SF).count() == 2 and trimmed == [spark]
