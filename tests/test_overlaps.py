@@ -8,6 +8,7 @@ import pytest
 from batchplan import registry
 from batchplan.operators import gain as gn
 from batchplan.operators import intervals as iv
+from batchplan.operators import overlaps as ol
 from batchplan.operators import stats as st
 from batchplan.operators.overlaps import gain_blocks, never_met, overlap_sums
 from tests.test_scheduling import SF, log_of
@@ -27,6 +28,16 @@ def test_sums_and_unseen_are_the_pairs(spark, per_class):
     assert sorted(unseen) == sorted(set(itertools.combinations(q, 2)) - want.keys()) and unseen
 
 
+def test_runs_are_stored_once_for_any_number_of_classes(spark, monkeypatch):
+    stored, dealt = [], ol._dealt
+    monkeypatch.setattr(ol, "_dealt", lambda *x: stored.append(dealt(*x)) or stored[-1])
+    log = log_of(spark, rows_of(5, 3))
+    for per_class in (1, 100):
+        sums = overlap_sums(log, per_class)
+        assert "Exchange" not in sums._jdf.queryExecution().executedPlan().toString()
+        assert spark.read.parquet(stored.pop()).count() == log.where("start_us < finish_us").count()
+
+
 @pytest.mark.parametrize("per_class", [1, 3, 100])
 def test_blocks_are_the_matrix_of_gains(spark, per_class):
     log = log_of(spark, [*rows_of(5, 3), (3, 77, 0, 10)])
