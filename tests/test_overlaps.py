@@ -72,6 +72,25 @@ def test_gains_make_no_pairs_of_runs(spark):
         assert "start_i" not in plan and "start_e" not in plan
 
 
+def test_pairs_do_not_move_to_their_vectors(spark):
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = registry.QUERIES["gain_symmetry"](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert plan.count("BroadcastHashJoin") == 2 and "hashpartitioning(qi#" not in plan and "hashpartitioning(qj#" not in plan
+
+
+@pytest.mark.parametrize("lens", [(64, 64, 64), (64, 3, 64), (2, 2, 5)])
+def test_gain_model_of_any_lengths(spark, lens):
+    x = spark.createDataFrame([(k, [0.01 * (k + 1) * (i % 7) for i in range(n)]) for k, n in enumerate(lens)], "vec_id long, x array<double>")
+    pairs = spark.createDataFrame(list(itertools.combinations(range(3), 2)), "qi long, qj long")
+    got = {(r.qi, r.qj): r.g for r in registry.with_vectors(pairs, x).select("qi", "qj", registry.halved_gain().alias("g")).collect()}
+    a, b = (x.toDF(f"q{n}", f"x{n}") for n in "ij")
+    want = {(r.qi, r.qj): r.g for r in pairs.join(a, "qi").join(b, "qj").select("qi", "qj", registry.pair_gain(a.xi, b.xj).alias("g")).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-12 for k in want)
+
+
 def test_terms_keep_their_pairs_in_place(spark):
     plan = registry.QUERIES["gain_terms"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("BroadcastHashJoin") >= 2 and "hashpartitioning(query_i#" not in plan
